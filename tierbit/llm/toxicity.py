@@ -1,7 +1,7 @@
 """Toxicity by weak supervision.
 
-Voters fire or don't on a text: word lists found in labelled rows (the words most over-
-represented in toxic ones, dealt over several lists), thresholds on how many listed words
+Voters fire or don't on a text: lists of words and stems found in labelled rows (those most
+over-represented in toxic ones, dealt over several lists), thresholds on how many listed words
 occur, and patterns (shouting, exclamations, density). A generative label model over all
 documents' vote patterns estimates how often each voter fires for either class by
 expectation maximisation, with labelled rows held at their labels; voters that stay
@@ -30,30 +30,44 @@ LISTS, BITS = 6, 16
 _FOLD = bytes(c if 97 <= c <= 122 or c >= 128 else c + 32 if 65 <= c <= 90 else 32 for c in range(256))
 
 
+PREFIXES = (4, 5, 6)
+
+
 def words_of(text: str) -> tuple[np.ndarray, bytes, np.ndarray, np.ndarray]:
-    """Hashes of the runs of letters, with the folded bytes and where each run lies."""
+    """Hashes of the runs of letters: whole, then their first 4, 5 and 6 bytes (0 where shorter), one row each; with the folded bytes and where each run lies."""
     folded = text.lower().encode("utf-8", "replace").translate(_FOLD)
     raw = np.frombuffer(folded, np.uint8)
     if not len(raw):
         none = np.zeros(0, np.int64)
-        return none.astype(np.uint64), folded, none, none
+        return np.zeros((1 + len(PREFIXES), 0), np.uint64), folded, none, none
     up, down = _powers(len(raw) + 1)
     gaps = np.flatnonzero(raw == 32)
     starts, ends = np.concatenate([[0], gaps + 1]), np.concatenate([gaps, [len(raw)]])
     real = ends > starts
     starts, ends = starts[real], ends[real]
     sums = np.concatenate([[np.uint64(0)], np.cumsum((raw.astype(np.uint64) + np.uint64(1)) * up[: len(raw)], dtype=np.uint64)])
-    return mix((sums[ends] - sums[starts]) * down[starts] + (ends - starts).astype(np.uint64)), folded, starts, ends
+    rows = [mix((sums[ends] - sums[starts]) * down[starts])]
+    for n in PREFIXES:
+        cut = np.minimum(starts + n, len(raw))
+        rows.append(np.where(ends - starts > n, mix((sums[cut] - sums[starts]) * down[starts] + np.uint64(n << 32)), np.uint64(0)))
+    return np.stack(rows), folded, starts, ends
 
 
 @dataclass
 class Lexicon:
-    """Listed word hashes, ascending, and the list each belongs to."""
+    """Listed words and stems by hash, ascending, and the list each belongs to."""
 
     hashes: np.ndarray
     owner: np.ndarray
     words: list[str] = field(default_factory=list)
 
+    def sieve(self) -> np.ndarray:
+        """Which top 20 bits a listed hash has."""
+        if not hasattr(self, "_sieve"):
+            self._sieve = np.zeros(1 << 20, bool)
+            self._sieve[(self.hashes >> np.uint64(44)).astype(np.int64)] = True
+        return self._sieve
+
     @property
     def voters(self) -> list[str]:
         return [f"list {i}" for i in range(LISTS)] + ["two", "three", "six", "dense", "shout", "exclaim"]
@@ -62,38 +76,52 @@ class Lexicon:
         """(votes as bits, listed words in the text)."""
         h = words_of(text)[0] if hashes is None else hashes
         bits = hits = 0
-        if len(h) and len(self.hashes):
-            at = np.minimum(np.searchsorted(self.hashes, h), len(self.hashes) - 1)
-            found = at[self.hashes[at] == h]
-            hits = len(found)
-            for i in np.unique(self.owner[found]):
+        n_words = h.shape[1]
+        if n_words and len(self.hashes):
+            maybe = self.sieve()[(h >> np.uint64(44)).astype(np.int64)]
+            row, word = np.nonzero(maybe)
+            at = np.minimum(np.searchsorted(self.hashes, h[row, word]), len(self.hashes) - 1)
+            real = self.hashes[at] == h[row, word]
+            hits = len(np.unique(word[real]))
+            for i in np.unique(self.owner[at[real]]):
                 bits |= 1 << int(i)
         raw = np.frombuffer(text.encode("utf-8", "replace"), np.uint8)
         shout = int(((raw >= 65) & (raw <= 90)).sum()) * 2 > max(1, len(raw))
-        for i, on in enumerate((hits >= 2, hits >= 3, hits >= 6, hits * 100 >= max(1, len(h)), shout, text.count("!") * 50 > max(1, len(h)))):
+        for i, on in enumerate((hits >= 2, hits >= 3, hits >= 6, hits * 100 >= max(1, n_words), shout, text.count("!") * 50 > max(1, n_words))):
             bits |= bool(on) << (LISTS + i)
         return bits, hits
 
 
-def find_lexicon(rows: list[tuple[np.ndarray, int]], names: dict[int, str], most: int = 60, least_z: float = 4.0) -> Lexicon:
-    """Words whose log odds of appearing in toxic rows lie well above those for clean ones."""
+def find_lexicon(rows: list[tuple[np.ndarray, int]], names: dict[int, bytes], most: int = 240, risk: float = 0.01) -> Lexicon:
+    """Words and stems found in toxic rows far more often than chance allows.
+
+    Chance is a binomial with 1.3 times the rows' toxic share (languages differ), bounded by
+    its exponent, and shared over all words tried: ``risk`` is that of one false entry. A word
+    that starts with a listed stem adds nothing and is left out.
+    """
     sides = []
     for y in (1, 0):
-        sets = [np.unique(h) for h, label in rows if label == y]
+        sets = [np.unique(h[h != 0]) for h, label in rows if label == y]
         words, n = np.unique(np.concatenate(sets), return_counts=True) if sets else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
         sides.append((dict(zip(words.tolist(), n.tolist())), len(sets)))
     (a, n_a), (b, n_b) = sides
-    scored = []
+    scored, p = [], min(0.9, 1.3 * n_a / max(1, n_a + n_b))
+    bar = np.log(max(1, len(a)) / risk)
     for w, x in a.items():
         y = b.get(w, 0)
-        odds = np.log((x + 0.5) / (n_a - x + 0.5)) - np.log((y + 0.5) / (n_b - y + 0.5))
-        z = odds / np.sqrt(1 / (x + 0.5) + 1 / (y + 0.5))
-        if x >= 3 and z >= least_z and odds > 1:
-            scored.append((-z, w))
-    top = [w for _, w in sorted(scored)[:most]]
+        share = x / (x + y)
+        if share > p:
+            excess = (x + y) * (share * np.log(share / p) + (1 - share) * np.log(max(1 - share, 1e-300) / (1 - p)))
+            if excess >= bar:
+                scored.append((-excess, len(names[w]), names[w], w))
+    top, listed = [], set()
+    for _, _, name, w in sorted(scored):
+        if len(top) < most and not any(name[:n] in listed for n in range(1, len(name) + 1)):
+            top.append(w)
+            listed.add(name)
     owner = {w: i % LISTS for i, w in enumerate(top)}
     order = sorted(top)
-    return Lexicon(np.array(order, np.uint64), np.array([owner[w] for w in order], np.int64), [names.get(w, "") for w in order])
+    return Lexicon(np.array(order, np.uint64), np.array([owner[w] for w in order], np.int64), [names[w].decode("utf-8", "replace") for w in order])
 
 
 class LabelModel:
@@ -163,7 +191,7 @@ class Scorer:
     def features(self, text: str) -> tuple[np.ndarray, np.ndarray]:
         h = words_of(text)[0]
         bits, hits = self.lexicon.votes(text, h)
-        at, n = np.unique((h >> np.uint64(64 - BITS)).astype(np.int64), return_counts=True)
+        at, n = np.unique((h[h != 0] >> np.uint64(64 - BITS)).astype(np.int64), return_counts=True)
         x = np.log1p(n)
         x = x / max(1e-9, float(np.sqrt(x @ x)))
         k = len(self.lexicon.voters)
@@ -213,11 +241,13 @@ def fit(docs: DataFrame, labels: DataFrame, learnable: Column, per_class: int =
     sample = sorted(((r["doc_id"], r["text"] or "", int(r["y"])) for r in sample), key=lambda r: r[0])
     if len({r[2] for r in sample}) < 2:
         return None
+    sample = list({t: (i, t, y) for i, t, y in reversed(sample)}.values())[::-1]  # copies teach nothing twice
     names, rows = {}, []
     for _, t, y in sample:
         h, folded, starts, ends = words_of(t)
         if y:
-            names.update({w: folded[s:e].decode("utf-8", "replace") for w, s, e in zip(h.tolist(), starts.tolist(), ends.tolist())})
+            for row, n in zip(h, (None, *PREFIXES)):
+                names.update({w: folded[s : e if n is None else s + n] for w, s, e in zip(row.tolist(), starts.tolist(), ends.tolist()) if w})
         rows.append((h, y))
     lexicon = find_lexicon([r for i, r in enumerate(rows) if i % 4], names)
     masks = np.array([lexicon.votes(t, h)[0] for (_, t, _), (h, _) in zip(sample, rows)], np.int64)
