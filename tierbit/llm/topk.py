@@ -1,9 +1,9 @@
 """Exact top-k search by inner product with a three-phase uniform threshold.
 
 Every vector is cut in ``slices`` runs of components; the partial inner product of one
-slice plays the part of one node's score list. Phase one gathers each slice's best
-partial scores and its least one per query; their known sums bound the k-th score from
-below. Phase two sends each query its cutoff (an equal share of that bound for each
+slice plays the part of one node's score list. Phase one gathers the vectors on each slice's local lists
+of best partial scores, with their whole scores, and each slice's least partial score; the
+k-th of the gathered scores bounds the answer's from below. Phase two sends each query its cutoff (an equal share of that bound for each
 slice) and collects every partial score that reaches it: a vector below the cutoff in
 all slices can't be in the answer. Phase three prunes by upper bounds and resolves the
 rest exactly. The answer is that of a full scan, ties to the smaller id.
@@ -65,19 +65,19 @@ def threshold_topk(vectors: DataFrame, queries: Column, k: int = 10, slices: int
 
     def lists(c: pd.DataFrame, q: pd.DataFrame) -> pd.DataFrame:
         if q.empty or c.empty:
-            return pd.DataFrame({"qid": [], "s": [], "cid": [], "p": [], "least": []})
-        ids, out = c["cid"].to_numpy(), []
-        for s, p in enumerate(_partials(q, c, slices)):
+            return pd.DataFrame({"qid": [], "s": [], "cid": [], "whole": [], "least": []})
+        ids, out, parts = c["cid"].to_numpy(), [], _partials(q, c, slices)
+        whole = sum(parts)
+        for s, p in enumerate(parts):
             top = np.argpartition(-p, min(want, p.shape[1]) - 1, axis=1)[:, :want]
             for i, qid in enumerate(q["qid"]):
-                out.append(pd.DataFrame({"qid": qid, "s": s, "cid": ids[top[i]], "p": p[i, top[i]], "least": p[i].min()}))
+                out.append(pd.DataFrame({"qid": qid, "s": s, "cid": ids[top[i]], "whole": whole[i, top[i]], "least": p[i].min()}))
         return pd.concat(out)
 
-    listed = stored(cands.cogroup(side(q_rows, "qid", "qb", q_blocks, "cb", blocks).groupBy("cb", "qb")).applyInPandas(lists, "qid long, s int, cid long, p long, least long"), "lists")
+    listed = stored(cands.cogroup(side(q_rows, "qid", "qb", q_blocks, "cb", blocks).groupBy("cb", "qb")).applyInPandas(lists, "qid long, s int, cid long, whole long, least long"), "lists")
     floor = listed.groupBy("qid", "s").agg(F.min("least").alias("least"))
-    best = listed.withColumn("n", F.row_number().over(W.partitionBy("qid", "s").orderBy(F.desc("p"), "cid"))).where(F.col("n") <= want)
-    known = best.join(floor, ["qid", "s"]).groupBy("qid", "cid").agg(F.sum(best["p"] - floor["least"]).alias("low"))
-    kth = known.withColumn("n", F.row_number().over(W.partitionBy("qid").orderBy(F.desc("low")))).where(F.col("n") == want).select("qid", F.floor(F.col("low") / slices).cast("long").alias("share"))
+    known = listed.select("qid", "cid", "whole").distinct().withColumn("n", F.row_number().over(W.partitionBy("qid").orderBy(F.desc("whole")))).where(F.col("n") == want)
+    kth = known.join(floor.groupBy("qid").agg(F.sum("least").alias("sum")), "qid").select("qid", F.floor((F.col("whole") - F.col("sum")) / slices).cast("long").alias("share"))
     cuts = stored(floor.join(kth, "qid", "left").groupBy("qid").agg(F.transform(F.array_sort(F.collect_list(F.struct("s", "least"))), lambda x: x["least"]).alias("least"), F.first(F.coalesce("share", F.lit(0))).alias("share")), "cutoffs")
 
     def reach(c: pd.DataFrame, q: pd.DataFrame) -> pd.DataFrame:
