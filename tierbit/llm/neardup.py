@@ -77,45 +77,54 @@ def weights_of(counts: np.ndarray) -> np.ndarray:
     return 1.0 + np.log(counts)
 
 
-def dart_signature(items: np.ndarray, weights: np.ndarray, size: int, seed: int = 1) -> np.ndarray:
-    """For each coordinate the identity (64-bit) of its earliest dart; zeros for an empty set."""
-    out = np.zeros(size, np.uint64)
-    if not len(items):
+def dart_signatures(sets: list[tuple[np.ndarray, np.ndarray]], size: int, seed: int = 1, wide: float = 1.0) -> np.ndarray:
+    """For each (items, weights) and coordinate the identity (64-bit) of the earliest dart; zeros for an empty set.
+
+    ``wide`` scales the time window; sets left with an empty coordinate are thrown again with twice the window.
+    """
+    out = np.zeros((len(sets), size), np.uint64)
+    full = [i for i, (items, _) in enumerate(sets) if len(items)]
+    if not full:
         return out
+    items, weights = (np.concatenate([sets[i][k] for i in full]) for k in (0, 1))
+    sizes = np.array([len(sets[i][0]) for i in full])
+    set_of = np.repeat(np.arange(len(full)), sizes)
+    windows = wide * (size * np.log(size) + 2 * size) / np.bincount(set_of, weights)
     strips = np.ceil(weights).astype(np.int64)
     owner = np.repeat(np.arange(len(items)), strips)
     level = np.arange(len(owner)) - np.repeat(np.cumsum(strips) - strips, strips)
     key = mix(items[owner] + mix(level.astype(np.uint64) + np.uint64(seed << 20)))
     height = np.minimum(weights[owner] - level, 1.0)
-    window = (size * np.log(size) + 2 * size) / float(weights.sum())
-    began, found_t, found_c, found_d = np.zeros(len(key)), [], [], []
-    coordinates = np.zeros(size, bool)
-    while True:
-        live, t = np.arange(len(key)), began.copy()
-        number = np.zeros(len(key), np.uint64)
-        first = not found_t
-        last = 0.0 if first else window / 2
-        while len(live):
-            number = number + np.uint64(1)
-            u = mix(key[live] + number * np.uint64(0xD1B54A32D192ED03))
-            t = t - np.log1p(-((u >> np.uint64(11)).astype(np.float64) * 2.0**-53))
-            on = t < window
-            live, t, u, number = live[on], t[on], u[on], number[on]
-            dart = mix(u ^ np.uint64(0xA0761D6478BD642F))
-            hit = (t >= last) & ((dart >> np.uint64(40)).astype(np.float64) * 2.0**-24 < height[live])
-            found_t.append(t[hit])
-            found_d.append(dart[hit])
-            found_c.append((mix(dart) % np.uint64(size)).astype(np.int64)[hit])
-        t, d, c = np.concatenate(found_t), np.concatenate(found_d), np.concatenate(found_c)
-        coordinates[c] = True
-        if coordinates.all():
-            break
-        window *= 2  # rare: some coordinate has no dart yet
+    whose = set_of[owner]
+    window, t = windows[whose], np.zeros(len(key))
+    found = []
+    while len(key):
+        u = mix(key + np.uint64(0xD1B54A32D192ED03))
+        t = t - np.log1p(-((u >> np.uint64(11)).astype(np.float64) * 2.0**-53))
+        on = t < window
+        key, t, u, height, whose, window = key[on], t[on], u[on], height[on], whose[on], window[on]
+        dart = mix(u ^ np.uint64(0xA0761D6478BD642F))
+        hit = (dart >> np.uint64(40)).astype(np.float64) * 2.0**-24 < height
+        found.append((t[hit], dart[hit], (whose * size + (mix(dart) % np.uint64(size)).astype(np.int64))[hit]))
+        key = u  # the strip's next dart follows from this one
+    t, dart, at = (np.concatenate([f[k] for f in found]) for k in range(3))
     order = np.argsort(-t, kind="stable")
-    out[c[order]] = d[order]  # the earliest is written last
+    flat, seen = np.zeros(len(full) * size, np.uint64), np.zeros(len(full) * size, bool)
+    flat[at[order]] = dart[order]  # the earliest is written last
+    seen[at] = True
+    whole = seen.reshape(-1, size).all(axis=1)
+    for i, row, done in zip(full, flat.reshape(-1, size), whole):
+        out[i] = row
+    again = [i for i, done in zip(full, whole) if not done]
+    if again:
+        out[again] = dart_signatures([sets[i] for i in again], size, seed, wide * 2)
     return out
 
 
+def dart_signature(items: np.ndarray, weights: np.ndarray, size: int, seed: int = 1) -> np.ndarray:
+    return dart_signatures([(items, weights)], size, seed)[0]
+
+
 def band_keys(signature: np.ndarray, bands: int, rows: int) -> np.ndarray:
     """One 64-bit key per band, over the band's number and coordinates."""
     h = np.arange(1, bands + 1, dtype=np.uint64)
@@ -130,16 +139,17 @@ def signed(docs: DataFrame, bands: int, rows: int, key: str, text: str) -> DataF
     def make(batches):
         for b in batches:
             ids, tags, texts = b.column("doc_id"), b.column("tag"), b.column("text").to_pylist()
-            for at in range(0, len(texts), 512):
-                cls, keys, sig = [], [], []
-                for t in texts[at : at + 512]:
+            for at in range(0, len(texts), 128):
+                cls, sets = [], []
+                for t in texts[at : at + 128]:
                     norm = normalised(t)
                     items, counts = shingles(norm)
-                    s = dart_signature(items, weights_of(counts), bands * rows)
+                    sets.append((items, weights_of(counts)))
                     cls.append(hashlib.md5(norm.encode("utf-8", "replace")).digest())
-                    keys.append(band_keys(s, bands, rows) if len(items) else [])
-                    sig.append(s.astype(np.uint8).tobytes())
-                yield pa.RecordBatch.from_arrays([ids.slice(at, 512), tags.slice(at, 512), pa.array(cls, pa.binary()), pa.array(keys, pa.list_(pa.int64())), pa.array(sig, pa.binary())], ["doc_id", "tag", "class", "bands", "sig"])
+                made = dart_signatures(sets, bands * rows)
+                keys = [band_keys(s, bands, rows) if len(x[0]) else [] for s, x in zip(made, sets)]
+                sig = [s.tobytes() for s in made.astype(np.uint8)]
+                yield pa.RecordBatch.from_arrays([ids.slice(at, 128), tags.slice(at, 128), pa.array(cls, pa.binary()), pa.array(keys, pa.list_(pa.int64())), pa.array(sig, pa.binary())], ["doc_id", "tag", "class", "bands", "sig"])
 
     return docs.select(F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(-1).cast("long")).alias("doc_id"), F.xxhash64(F.col(f"`{text}`")).alias("tag"), F.col(f"`{text}`").alias("text")).mapInArrow(make, "doc_id long, tag long, class binary, bands array<long>, sig binary")
 
