@@ -9,7 +9,9 @@ library whole. Both ways give the same ids (tested against the library).
 from __future__ import annotations
 
 import re
+import struct
 import zlib
+from itertools import filterfalse
 
 import numpy as np
 
@@ -22,33 +24,31 @@ WORD_SPLIT = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{LETTER}]+|[0-9]|[^\\s{LETTER
 LONGEST = 2000
 
 
+def _byte_letters() -> dict[int, str]:
+    """Byte to the visible letter that byte-level vocabularies write for it (public rule)."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    return {b: chr(b) for b in plain} | {b: chr(256 + n) for n, b in enumerate(b for b in range(256) if b not in plain)}
+
+
 class Encoder:
     """Ids as little-endian unsigned 32-bit integers."""
 
-    def __init__(self, path: str, cached: int = 1_000_000):
+    def __init__(self, path: str, cached: int = 800_000):
         from tokenizers import Tokenizer
 
         self.lib = Tokenizer.from_file(path)
         self.lib.encode_special_tokens = True
-        words = "</w>" == getattr(self.lib.model, "end_of_word_suffix", None)
+        self.model = self.lib.model
+        words = self.model.end_of_word_suffix == "</w>"
         self.split, self.lower = (WORD_SPLIT, True) if words else (BYTE_SPLIT, False)
-        self.lib_words = Tokenizer.from_file(path)
-        self.lib_words.encode_special_tokens = True
+        self.letters = _byte_letters()
         self.seen: dict[str, bytes] = {}
         self.cached = cached
 
-    def _learn(self, new: list[str]) -> None:
-        if len(self.seen) + len(new) > self.cached:
-            self.seen.clear()
-        for at in range(0, len(new), 4096):
-            part = new[at : at + 4096]
-            whole = self.lib_words.encode(part, is_pretokenized=True, add_special_tokens=False)
-            ids, owner = np.asarray(whole.ids, dtype="<u4"), np.asarray([-1 if w is None else w for w in whole.word_ids])
-            ends = np.searchsorted(owner, np.arange(len(part)), "right").tolist()
-            start = 0
-            for w, end in zip(part, ends):
-                self.seen[w] = ids[start:end].tobytes()
-                start = end
+    def word(self, word: str) -> bytes:
+        """Ids of one pre-token, by the library's model."""
+        tokens = self.model.tokenize(word.encode().decode("latin-1").translate(self.letters))
+        return struct.pack(f"<{len(tokens)}I", *[t.id for t in tokens])
 
     def whole(self, text: str) -> bytes:
         return np.asarray(self.lib.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
@@ -61,17 +61,19 @@ class Encoder:
                 out[i] = self.whole(t)
                 continue
             words = split(t.lower() if self.lower else t)
-            if max(map(len, words), default=0) > LONGEST:
-                out[i] = self.whole(t)
-                continue
             pending.append((i, words))
             fresh.update(words)
         if len(self.seen) + len(fresh) > self.cached:
             self.seen.clear()
-        self._learn([w for w in fresh if w not in self.seen])
-        seen = self.seen
+        seen, word = self.seen, self.word
+        long = set()
+        for w in filterfalse(seen.__contains__, fresh):
+            if len(w) > LONGEST:
+                long.add(w)
+            else:
+                seen[w] = word(w)
         for i, words in pending:
-            out[i] = b"".join([seen[w] for w in words])
+            out[i] = b"".join(map(seen.__getitem__, words)) if not long or long.isdisjoint(words) else self.whole(texts[i])
         return out
 
 
