@@ -132,8 +132,8 @@ def fit(docs: DataFrame, learnable: Column, per_class: int = 400, text: str = "t
     def frequencies(batches):
         total = np.zeros(1 << BITS, np.int64)
         for b in batches:
-            for t in b.column("text").to_pylist():
-                total += grams(t) > 0
+            for t in b.column("text"):
+                total += grams(t.as_py()) > 0
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], ["gram", "n"])
 
@@ -170,7 +170,7 @@ def identify(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
     def score(batches):
         own = shared.value
         for b in batches:
-            got = [own.predict(t) for t in b.column("text").to_pylist()]
+            got = [own.predict(t.as_py()) for t in b.column("text")]
             yield pa.RecordBatch.from_arrays([b.column("row"), pa.array([g[0] for g in got], pa.string()), pa.array([g[1] for g in got], pa.float64())], ["row", "lang_pred", "score"])
 
     from pyspark.sql import types as T

@@ -257,8 +257,8 @@ def fit(docs: DataFrame, labels: DataFrame, learnable: Column, per_class: int =
     def patterns(batches):
         total: dict[int, int] = {}
         for b in batches:
-            for t in b.column("text").to_pylist():
-                m = shared.value.votes(t or "")[0]
+            for t in b.column("text"):
+                m = shared.value.votes(t.as_py() or "")[0]
                 total[m] = total.get(m, 0) + 1
         yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int64()), pa.array(list(total.values()), pa.int64())], ["mask", "n"])
 
@@ -290,7 +290,7 @@ def score(docs: DataFrame, scorer: Scorer | None, key: str = "doc_id", text: str
 
     def run(batches):
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array([shared.value.score(t) for t in b.column("text").to_pylist()], pa.float64())], ["doc_id", "score"])
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array([shared.value.score(t.as_py()) for t in b.column("text")], pa.float64())], ["doc_id", "score"])
 
     from pyspark.sql import types as T
 
