@@ -54,26 +54,21 @@ class Encoder:
         return np.asarray(self.lib.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        out: list[bytes | None] = [None] * len(texts)
-        split, pending, fresh = self.split.findall, [], set()
-        for i, t in enumerate(texts):
+        out, seen, word, split = [], self.seen, self.word, self.split.findall
+        known, ids = seen.__contains__, seen.__getitem__
+        if len(seen) > self.cached:
+            seen.clear()
+        for t in texts:
             if SAFE.fullmatch(t) is None:
-                out[i] = self.whole(t)
+                out.append(self.whole(t))
                 continue
-            words = split(t.lower() if self.lower else t)
-            pending.append((i, words))
-            fresh.update(words)
-        if len(self.seen) + len(fresh) > self.cached:
-            self.seen.clear()
-        seen, word = self.seen, self.word
-        long = set()
-        for w in filterfalse(seen.__contains__, fresh):
-            if len(w) > LONGEST:
-                long.add(w)
-            else:
+            words, long = split(t.lower() if self.lower else t), False
+            for w in filterfalse(known, words):  # lazy: a word learned here is known the next time
+                if len(w) > LONGEST:
+                    long = True
+                    break
                 seen[w] = word(w)
-        for i, words in pending:
-            out[i] = b"".join(map(seen.__getitem__, words)) if not long or long.isdisjoint(words) else self.whole(texts[i])
+            out.append(self.whole(t) if long else b"".join(map(ids, words)))
         return out
 
 
