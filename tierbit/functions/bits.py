@@ -33,7 +33,7 @@ def rank_before(mask: str, offset: str, b: int) -> Column:
 
 def clip_from(mask: str, offset: str, b: int) -> Column:
     """Only the bits at ``offset`` and after it."""
-    return F.expr(f"case when ({offset}) = 0 then {mask} else {mask} & (shiftleft(1L, cast({b} - ({offset}) as int)) - 1) end")
+    return F.expr(f"{mask} & shiftrightunsigned(-1L, cast({64 - b} + ({offset}) as int))")
 
 
 def positions(df, mask: str, node: str, b: int):
