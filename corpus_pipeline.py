@@ -14,8 +14,6 @@ from tierbit.llm import exactdedup, langid, mixing, neardup, packing
 from tierbit.llm.common import drop_rows, id_crc, stored, table
 from tierbit.llm.queries import tokenizer_path
 
-ID = F.coalesce(F.col("doc_id").cast("long"), F.lit(-1).cast("long")).alias("doc_id")
-
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents of no known language (null or without a letter) go."""
@@ -28,7 +26,8 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of equal texts the row with the largest doc_id stays."""
-    return drop_rows(docs, exactdedup.exact_dedup(docs).where("not kept").select(ID, "tag"))
+    gone = exactdedup.exact_dedup(docs).where("not kept")
+    return drop_rows(docs, gone.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-1).cast("long")).alias("doc_id"), "tag"))
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
