@@ -138,11 +138,11 @@ def signed(docs: DataFrame, bands: int, rows: int, key: str, text: str) -> DataF
 
     def make(batches):
         for b in batches:
-            ids, tags, texts = b.column("doc_id"), b.column("tag"), b.column("text").to_pylist()
+            ids, tags, texts = b.column("doc_id"), b.column("tag"), b.column("text")
             for at in range(0, len(texts), 128):
                 cls, sets = [], []
-                for t in texts[at : at + 128]:
-                    norm = normalised(t)
+                for t in texts.slice(at, 128):
+                    norm = normalised(t.as_py())
                     items, counts = shingles(norm)
                     sets.append((items, weights_of(counts)))
                     cls.append(hashlib.md5(norm.encode("utf-8", "replace")).digest())
@@ -240,7 +240,7 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, bands: int = 24, ro
 
     def name(batches):
         for b in batches:
-            cls = [hashlib.md5(normalised(t).encode("utf-8", "replace")).digest() for t in b.column("text").to_pylist()]
+            cls = [hashlib.md5(normalised(t.as_py()).encode("utf-8", "replace")).digest() for t in b.column("text")]
             yield pa.RecordBatch.from_arrays([pa.array(cls, pa.binary()), b.column("doc_id"), b.column("text")], ["class", "doc_id", "text"])
 
     some = flagged(docs.select(F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(-1).cast("long")).alias("doc_id"), F.col(f"`{text}`").alias("text")), needed, ["doc_id"]).where("maybe").drop("maybe")

@@ -85,10 +85,10 @@ def cut_pieces(docs: DataFrame, tokenizer: str, end_id: int, window: int = 2048,
 
     def cut(batches):
         for batch in batches:
-            keys, texts = batch.column("doc_id").to_pylist(), [t or "" for t in batch.column("text").to_pylist()]
-            for run in batches_of(texts):
+            keys = batch.column("doc_id").to_pylist()
+            for run, texts in batches_of(batch.column("text")):
                 rows = []
-                for i, ids in zip(run, encoder(tokenizer).encode([texts[i] for i in run])):
+                for i, ids in zip(run, encoder(tokenizer).encode(texts)):
                     ids += tail
                     n = len(ids) // 4
                     for at in range(0, n, window):

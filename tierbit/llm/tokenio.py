@@ -128,9 +128,9 @@ def write_tokens(docs: DataFrame, tokenizer: str, end_id: int | None, key: str =
         part = TaskContext.get().partitionId()
         name, writer, sink = f"part-{part:06d}-{uuid.uuid4().hex}.zst", None, None
         for batch in batches:
-            ids, texts = batch.column("doc_id").to_pylist(), [t or "" for t in batch.column("text").to_pylist()]
-            for run in batches_of(texts):
-                for i, e in zip(run, encoder(tokenizer).encode([texts[i] for i in run])):
+            ids = batch.column("doc_id").to_pylist()
+            for run, texts in batches_of(batch.column("text")):
+                for i, e in zip(run, encoder(tokenizer).encode(texts)):
                     if writer is None:
                         sink = fs.open_output_stream(f"{root}/{name}", compression=None)
                         writer = FrameWriter(sink, frame_bytes)

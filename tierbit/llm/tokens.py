@@ -33,7 +33,7 @@ def _byte_letters() -> dict[int, str]:
 class Encoder:
     """Ids as little-endian unsigned 32-bit integers."""
 
-    def __init__(self, path: str, cached: int = 800_000):
+    def __init__(self, path: str, cached: int = 400_000):
         from tokenizers import Tokenizer
 
         self.lib = Tokenizer.from_file(path)
@@ -86,14 +86,16 @@ def crc(ids: bytes) -> int:
     return zlib.crc32(ids)
 
 
-def batches_of(texts: list, most: int = 1 << 20):
-    """Runs of indices whose texts hold about ``most`` characters together."""
-    run, held = [], 0
-    for i, t in enumerate(texts):
+def batches_of(column, most: int = 1 << 20):
+    """(indices, texts) of runs of an Arrow text column that hold about ``most`` characters together; null is empty."""
+    run, texts, held = [], [], 0
+    for i, t in enumerate(column):
+        text = t.as_py() or ""
         run.append(i)
-        held += len(t)
+        texts.append(text)
+        held += len(text)
         if held >= most:
-            yield run
-            run, held = [], 0
+            yield run, texts
+            run, texts, held = [], [], 0
     if run:
-        yield run
+        yield run, texts
