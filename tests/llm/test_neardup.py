@@ -66,6 +66,22 @@ def test_groups_equal_brute_force(spark):
     assert all(r["cluster_size"] == len(root[want[r["doc_id"]]]) for r in got)
 
 
+def test_edits_of_one_original_meet_it(spark):
+    """Edits that are near copies of the original alone, not of each other, still join its group."""
+    rng = np.random.default_rng(8)
+    base = words(rng, 300)
+    texts = []
+    for i in range(400):
+        t, at = list(base), int(rng.integers(0, 280))
+        t[at : at + 20] = words(rng, 20)
+        t[(at + 150) % 300] = "changed"
+        texts.append(" ".join(t))
+    rows = [(i, t, "s", None) for i, t in enumerate([*texts[:200], " ".join(base), *texts[200:]])]
+    want = brute(rows)
+    got = {r["doc_id"]: r["cluster_id"] for r in N.near_duplicates(spark.createDataFrame(rows, SCHEMA)).collect()}
+    assert got == want and set(got.values()) == {0}
+
+
 def test_signatures_estimate_weighted_similarity():
     rng = np.random.default_rng(0)
     errors = []
@@ -97,6 +113,7 @@ def test_signature_does_not_depend_on_batch_or_order():
 def test_candidates_stay_linear_in_a_large_bucket(spark):
     entries = spark.range(3000).selectExpr("1L as band", "cast(lpad(cast(id as string), 6, '0') as binary) as class")
     assert N.candidates(entries, share=100).count() <= 6000
+    assert N.candidates(entries, share=100, near=4).count() <= 5 * 3000
 
 
 def test_components_of_a_long_chain(spark):

@@ -9,9 +9,10 @@ coordinates, and each coordinate keeps its earliest dart: the work follows the n
 shingles plus that of darts, not their product. Bands of coordinates are joined.
 
 No step holds a group whole or makes all its pairs: copies of one normalised text are one
-class first; within a band's bucket each class is tried against the bucket's smallest and
-against a neighbour in an order of that band's own (in salted shares of large buckets), so
-candidates grow with documents times bands. Candidates whose signatures agree enough are
+class first; within a band's bucket each class is tried against the bucket's smallest, against the one
+that meets the most others over all bands, and against four neighbours in the order of the
+following band (in salted shares of large buckets), so candidates grow with documents times
+bands. Candidates whose signatures agree enough are
 checked exactly (``measure``: Jaccard of the shingle sets, or of the weights), and groups
 are the connected components of what passes.
 
@@ -154,11 +155,23 @@ def signed(docs: DataFrame, bands: int, rows: int, key: str, text: str) -> DataF
     return docs.select(F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(-1).cast("long")).alias("doc_id"), F.xxhash64(F.col(f"`{text}`")).alias("tag"), F.col(f"`{text}`").alias("text")).mapInArrow(make, "doc_id long, tag long, class binary, bands array<long>, sig binary")
 
 
-def candidates(entries: DataFrame, share: int = 4096) -> DataFrame:
-    """Pairs a < b of classes: each bucket's classes with its least, and with a neighbour."""
+def candidates(entries: DataFrame, share: int = 4096, near: int = 1) -> DataFrame:
+    """Pairs a < b of classes: each bucket's classes with its least, its most met, and ``near`` neighbours.
+
+    ``entries`` hold class, band and, if given, ``after``: the class's key in the following band. Most
+    met is the class that shares the most buckets with others, which is the original among
+    edited copies that are less like each other. Neighbours are taken in the order of
+    ``after``, so classes that agree in a second band stand side by side; a bucket of up to
+    ``near`` + 1 classes is tried whole.
+    """
     buckets = stored(entries.groupBy("band").agg(F.count("*").alias("n"), F.min("class").alias("head")).where("n > 1"), "buckets")
-    inside = entries.join(buckets, "band").withColumn("place", F.xxhash64("class", "band")).withColumn("salt", F.pmod("place", F.ceil(F.col("n") / share)))
-    both = inside.withColumn("next", F.lag("class").over(W.partitionBy("band", "salt").orderBy("place"))).select("class", F.explode(F.array("head", "next")).alias("other"))
+    inside = stored(entries.join(buckets, "band"), "inside")
+    met = inside.groupBy("class").agg(F.sum("n").alias("met"))
+    central = inside.select("class", "band").join(met, "class").groupBy("band").agg(F.min(F.struct(-F.col("met"), "class")).getField("class").alias("centre"))
+    placed = inside.join(central, "band").withColumn("place", F.xxhash64("class", "band")).withColumn("salt", F.pmod("place", F.ceil(F.col("n") / share)))
+    order = [c for c in ("after", "place") if c in placed.columns]
+    beside = W.partitionBy("band", "salt").orderBy(*order)
+    both = placed.select("class", "head", "centre", *[F.lag("class", i + 1).over(beside).alias(f"n{i}") for i in range(near)]).select("class", F.explode(F.array_distinct(F.array("head", "centre", *[f"n{i}" for i in range(near)]))).alias("other"))
     return both.where("other is not null and other <> class").select(F.least("class", "other").alias("a"), F.greatest("class", "other").alias("b")).distinct()
 
 
@@ -217,13 +230,14 @@ def components(links: DataFrame, rounds: int = 40) -> DataFrame:
     return edges.select(F.col("v").alias("class"), F.col("u").alias("root"))
 
 
-def near_duplicates(docs: DataFrame, threshold: float = 0.8, bands: int = 24, rows: int = 5, measure: str = "set", key: str = "doc_id", text: str = "text") -> DataFrame:
+def near_duplicates(docs: DataFrame, threshold: float = 0.8, bands: int = 24, rows: int = 5, measure: str = "set", key: str = "doc_id", text: str = "text", near: int = 4) -> DataFrame:
     """doc_id, tag (xxhash64 of the text), cluster_id, cluster_size, links, kept for every row."""
     size = bands * rows
     all_rows = stored(signed(docs, bands, rows, key, text), "signed")
     classes = stored(all_rows.groupBy("class").agg(F.min("doc_id").alias("first_id"), F.count("*").alias("n")), "classes")
-    entries = all_rows.select("class", F.explode("bands").alias("band")).distinct()
-    pairs = stored(candidates(stored(entries, "entries")), "pairs")
+    beside = F.expr("transform(bands, (x, i) -> named_struct('band', x, 'after', bands[(i + 1) % size(bands)]))")
+    entries = all_rows.select("class", "bands").dropDuplicates(["class"]).select("class", F.inline(beside))
+    pairs = stored(candidates(stored(entries, "entries"), near=near), "pairs")
     sigs = all_rows.join(classes.select("class", F.col("first_id").alias("doc_id")), ["class", "doc_id"], "left_semi").groupBy("class").agg(F.min("sig").alias("sig"))
 
     def agree(batches):
