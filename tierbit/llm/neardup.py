@@ -10,7 +10,7 @@ shingles plus that of darts, not their product. Bands of coordinates are joined.
 
 No step holds a group whole or makes all its pairs: copies of one normalised text are one
 class first; within a band's bucket each class is tried against the bucket's smallest, against the one
-that meets the most others over all bands, and against four neighbours in the order of the
+that meets the most others over all bands, and against a neighbour in the order of the
 following band (in salted shares of large buckets), so candidates grow with documents times
 bands. Candidates whose signatures agree enough are
 checked exactly (``measure``: Jaccard of the shingle sets, or of the weights), and groups
@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from tierbit.llm.common import flagged, stored
+from tierbit.llm.common import flagged, lean, stored
 
 WORDS = 5
 _P = np.uint64(0x100000001B3)
@@ -152,7 +152,7 @@ def signed(docs: DataFrame, bands: int, rows: int, key: str, text: str) -> DataF
                 sig = [s.tobytes() for s in made.astype(np.uint8)]
                 yield pa.RecordBatch.from_arrays([ids.slice(at, 128), tags.slice(at, 128), pa.array(cls, pa.binary()), pa.array(keys, pa.list_(pa.int64())), pa.array(sig, pa.binary())], ["doc_id", "tag", "class", "bands", "sig"])
 
-    return docs.select(F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(-1).cast("long")).alias("doc_id"), F.xxhash64(F.col(f"`{text}`")).alias("tag"), F.col(f"`{text}`").alias("text")).mapInArrow(make, "doc_id long, tag long, class binary, bands array<long>, sig binary")
+    return lean(docs).select(F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(-1).cast("long")).alias("doc_id"), F.xxhash64(F.col(f"`{text}`")).alias("tag"), F.col(f"`{text}`").alias("text")).mapInArrow(make, "doc_id long, tag long, class binary, bands array<long>, sig binary")
 
 
 def candidates(entries: DataFrame, share: int = 4096, near: int = 1) -> DataFrame:
@@ -230,7 +230,7 @@ def components(links: DataFrame, rounds: int = 40) -> DataFrame:
     return edges.select(F.col("v").alias("class"), F.col("u").alias("root"))
 
 
-def near_duplicates(docs: DataFrame, threshold: float = 0.8, bands: int = 24, rows: int = 5, measure: str = "set", key: str = "doc_id", text: str = "text", near: int = 4) -> DataFrame:
+def near_duplicates(docs: DataFrame, threshold: float = 0.8, bands: int = 24, rows: int = 5, measure: str = "set", key: str = "doc_id", text: str = "text", near: int = 1) -> DataFrame:
     """doc_id, tag (xxhash64 of the text), cluster_id, cluster_size, links, kept for every row."""
     size = bands * rows
     all_rows = stored(signed(docs, bands, rows, key, text), "signed")
