@@ -34,6 +34,19 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def lean(df: DataFrame, most: int = 4 << 20) -> DataFrame:
+    """``df``, of a session that from now on sends Python batches of about ``most`` bytes at most.
+
+    Without a bound a batch is 10,000 rows however long their texts are, held in the JVM and
+    in the worker at once. Results don't depend on it; a smaller bound in place is kept.
+    """
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    given = df.sparkSession.conf.get(name, None)
+    if not (given and given.isdigit() and 0 < int(given) <= most):
+        df.sparkSession.conf.set(name, str(most))
+    return df
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

@@ -23,6 +23,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from tierbit.llm.common import lean, without
+
 BITS, ORDERS, CHUNK = 15, 3, 1 << 20
 _TABLE: list[np.ndarray] = []
 
@@ -138,7 +140,7 @@ def fit(docs: DataFrame, learnable: Column, per_class: int = 400, text: str = "t
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], ["gram", "n"])
 
     df = np.zeros(1 << BITS)
-    for g, n in rows.select("text").mapInArrow(frequencies, "gram int, n long").groupBy("gram").agg(F.sum("n")).collect():
+    for g, n in lean(rows.select("text")).mapInArrow(frequencies, "gram int, n long").groupBy("gram").agg(F.sum("n")).collect():
         df[g] = n
     idf = (np.log((1 + sum(counts.values())) / (1 + df)) + 1).astype(np.float32)
     share = F.create_map(*[F.lit(x) for c in classes for x in (c, min(1.0, 1.3 * per_class / counts[c]))])
@@ -160,8 +162,6 @@ def fit(docs: DataFrame, learnable: Column, per_class: int = 400, text: str = "t
 
 def identify(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
     """The rows of ``docs`` with lang_pred and score (columns of those names are replaced)."""
-    from tierbit.llm.common import without
-
     docs = without(docs, "lang_pred", "score")
     shared = docs.sparkSession.sparkContext.broadcast(model)
     names = docs.columns
@@ -176,4 +176,4 @@ def identify(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
     from pyspark.sql import types as T
 
     schema = T.StructType([wrapped.schema["row"], T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
-    return wrapped.mapInArrow(score, schema).select("row.*", "lang_pred", "score")
+    return lean(wrapped).mapInArrow(score, schema).select("row.*", "lang_pred", "score")

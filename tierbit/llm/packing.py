@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from tierbit.llm.common import stored
+from tierbit.llm.common import lean, stored
 from tierbit.llm.tokens import batches_of, crc, encoder
 
 
@@ -96,7 +96,7 @@ def cut_pieces(docs: DataFrame, tokenizer: str, end_id: int, window: int = 2048,
                         rows.append((keys[i], at, len(own) // 4, crc(own), n, own if with_ids else None))
                 yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in rows], pa.int64()) for j in range(5)] + [pa.array([r[5] for r in rows], pa.binary())], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "ids"])
 
-    out = docs.select(F.col(f"`{key}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text")).mapInArrow(cut, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, ids binary")
+    out = lean(docs).select(F.col(f"`{key}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text")).mapInArrow(cut, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, ids binary")
     return out if with_ids else out.drop("ids")
 
 

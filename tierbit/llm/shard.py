@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tierbit.llm.common import scratch, without
+from tierbit.llm.common import lean, scratch, without
 
 
 def fisher_yates(n: int, rng: np.random.Generator) -> np.ndarray:
@@ -77,6 +77,6 @@ def shuffle_into_shards(docs: DataFrame, n_shards: int = 8, seed: int = 17, buck
 
     schema = T.StructType([T.StructField("row", scattered.schema["row"].dataType), T.StructField("shard", T.IntegerType()), T.StructField("slot", T.LongType())])
     path = scratch(spark, "shards")
-    out = scattered.mapInArrow(permute, schema).select("row.*", "shard", "slot")
+    out = lean(scattered).mapInArrow(permute, schema).select("row.*", "shard", "slot")
     out.write.partitionBy("shard").parquet(path)
     return spark.read.schema(out.schema).parquet(path)

@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tierbit.llm.common import scratch
+from tierbit.llm.common import lean, scratch
 from tierbit.llm.tokens import batches_of, encoder
 
 #: Fixed values of the public seekable format.
@@ -140,7 +140,7 @@ def write_tokens(docs: DataFrame, tokenizer: str, end_id: int | None, key: str =
             sink.close()
             yield pa.RecordBatch.from_pydict({"part": pa.array([part], pa.int32()), "path": [f"{path}/{name}"], "n_docs": pa.array([len(writer.docs)], pa.int64()), "n_tokens": pa.array([writer.tokens], pa.int64())})
 
-    rows = docs.select(F.col(f"`{key}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text"), F.xxhash64(F.col(f"`{text}`")).alias("tie"))
+    rows = lean(docs).select(F.col(f"`{key}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text"), F.xxhash64(F.col(f"`{text}`")).alias("tie"))
     files = rows.repartitionByRange("doc_id", "tie").sortWithinPartitions("doc_id", "tie").select("doc_id", "text").mapInArrow(write, "part int, path string, n_docs long, n_tokens long").collect()
     manifest, start = [], 0
     for i, f in enumerate(sorted(files, key=lambda r: r["part"])):

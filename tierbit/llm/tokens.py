@@ -14,6 +14,7 @@ import zlib
 from itertools import filterfalse
 
 import numpy as np
+import pyarrow as pa
 
 LETTER = "A-Za-zÀ-ÖØ-öø-ÿ"
 SAFE = re.compile(f"[\\t\\n -~{LETTER}]*")
@@ -33,7 +34,7 @@ def _byte_letters() -> dict[int, str]:
 class Encoder:
     """Ids as little-endian unsigned 32-bit integers."""
 
-    def __init__(self, path: str, cached: int = 400_000):
+    def __init__(self, path: str, cached: int = 150_000):
         from tokenizers import Tokenizer
 
         self.lib = Tokenizer.from_file(path)
@@ -86,8 +87,9 @@ def crc(ids: bytes) -> int:
     return zlib.crc32(ids)
 
 
-def batches_of(column, most: int = 1 << 20):
+def batches_of(column, most: int = 1 << 18):
     """(indices, texts) of runs of an Arrow text column that hold about ``most`` characters together; null is empty."""
+    pa.default_memory_pool().release_unused()  # what earlier batches held
     run, texts, held = [], [], 0
     for i, t in enumerate(column):
         text = t.as_py() or ""

@@ -24,6 +24,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from tierbit.llm.common import lean
+
 from tierbit.llm.neardup import _powers, mix
 
 LISTS, BITS = 6, 16
@@ -262,7 +264,7 @@ def fit(docs: DataFrame, labels: DataFrame, learnable: Column, per_class: int =
                 total[m] = total.get(m, 0) + 1
         yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int64()), pa.array(list(total.values()), pa.int64())], ["mask", "n"])
 
-    seen = docs.select(F.col(f"`{text}`").alias("text")).mapInArrow(patterns, "mask long, n long").groupBy("mask").agg(F.sum("n").alias("n")).collect()
+    seen = lean(docs).select(F.col(f"`{text}`").alias("text")).mapInArrow(patterns, "mask long, n long").groupBy("mask").agg(F.sum("n").alias("n")).collect()
     seen = sorted((r["mask"], r["n"]) for r in seen)
     model = LabelModel(len(lexicon.voters)).fit(np.array([m for m, _ in seen], np.int64), np.array([n for _, n in seen], np.int64), masks, y)
     soft = model.posterior(masks)
@@ -294,4 +296,4 @@ def score(docs: DataFrame, scorer: Scorer | None, key: str = "doc_id", text: str
 
     from pyspark.sql import types as T
 
-    return rows.mapInArrow(run, T.StructType([rows.schema["doc_id"], T.StructField("score", T.DoubleType())]))
+    return lean(rows).mapInArrow(run, T.StructType([rows.schema["doc_id"], T.StructField("score", T.DoubleType())]))
