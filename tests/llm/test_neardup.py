@@ -129,3 +129,38 @@ def test_edges(spark, rows):
     assert len(got) == len(rows)
     if len(rows) == 3:
         assert {r["cluster_id"] for r in got} == {-1} and sum(r["kept"] for r in got) == 1
+
+
+def test_families_of_one_template_are_tried_against_each_other(spark):
+    """Several families share buckets: the groups are still those of all pairs."""
+    rng = np.random.default_rng(21)
+    base = words(rng, 400)
+    texts = []
+    for f in range(12):
+        own = list(base)
+        for at in rng.choice(80, 9, replace=False):
+            own[at * 5] = f"f{f}x{at}"
+        for _ in range(25):
+            t = list(own)
+            for at in rng.choice(400, 5, replace=False):
+                t[at] = f"e{int(rng.integers(1 << 40))}"
+            texts.append(" ".join(t))
+    rows = [(i, t, "s", None) for i, t in enumerate(texts)]
+    want = brute(rows)
+    got = {r["doc_id"]: r["cluster_id"] for r in N.near_duplicates(spark.createDataFrame(rows, SCHEMA)).collect()}
+    assert got == want
+
+
+def test_remainder_is_every_untried_pair_across_roots(spark):
+    rng = np.random.default_rng(4)
+    key = lambda i: bytearray(f"{i:04d}".encode())
+    at = {i: sorted({int(b) for b in rng.integers(0, 6, 2)}) for i in range(90)}
+    mass = {i: float(rng.integers(80, 120)) for i in at}
+    root = {i: i % 7 for i in at if i % 3}
+    tried = {(i, j) for i in at for j in at if i < j and (i + j) % 5 == 0}
+    entries = spark.createDataFrame([(key(i), b, mass[i]) for i, bs in at.items() for b in bs], "class binary, band long, mass double")
+    roots = spark.createDataFrame([(key(i), key(r)) for i, r in root.items()], "class binary, root binary")
+    pairs = spark.createDataFrame([(key(i), key(j)) for i, j in tried], "a binary, b binary")
+    got = [(int(bytes(r["a"])), int(bytes(r["b"]))) for r in N.remainder(entries, roots, pairs, 0.8, share=8).collect()]
+    want = {(i, j) for i in at for j in at if i < j and set(at[i]) & set(at[j]) and root.get(i, i) != root.get(j, j) and (i, j) not in tried and min(mass[i], mass[j]) >= 0.8 * max(mass[i], mass[j])}
+    assert len(got) == len(set(got)) and set(got) == want

@@ -8,16 +8,20 @@ equal darts. Darts above the weight miss. A dart's hash names one of the signatu
 coordinates, and each coordinate keeps its earliest dart: the work follows the number of
 shingles plus that of darts, not their product. Bands of coordinates are joined.
 
-No step holds a group whole or makes all its pairs: copies of one normalised text are one
-class first; within a band's bucket each class is tried against the bucket's smallest, against the one
-that meets the most others over all bands, and against a neighbour in the order of the
-following band (in salted shares of large buckets), so candidates grow with documents times
-bands. Candidates whose signatures agree enough are
-checked exactly (``measure``: Jaccard of the shingle sets, or of the weights), and groups
-are the connected components of what passes.
+No step holds a group whole: copies of one normalised text are one class first; within a
+band's bucket each class is tried against the bucket's smallest, against the one that meets
+the most others over all bands, and against a neighbour in the order of the following band
+(in salted shares of large buckets), so these candidates grow with documents times bands.
+Most buckets are joined into one group by them, and their other pairs can't change it. In
+the rest every pair of classes not yet joined is tried as well (``remainder``), save those
+whose sizes alone rule the threshold out, so groups are those of all pairs that share a
+bucket. Candidates whose signatures agree enough are checked exactly (``measure``: Jaccard
+of the shingle sets, or of the weights), and groups are the connected components of what
+passes.
 
 Result for every row: cluster_id (least doc_id of the group), cluster_size (rows), links
-(links found between its class and others), kept (true for the row with the least id of each
+(links found between its class and others; pairs of a
+group that is joined already aren't all tried), kept (true for the row with the least id of each
 group; rows that repeat that id and text share its fate). A null text counts as empty;
 empty texts are copies of each other; a null id counts as -1. An empty table gives no rows.
 """
@@ -134,25 +138,26 @@ def band_keys(signature: np.ndarray, bands: int, rows: int) -> np.ndarray:
     return h.view(np.int64)
 
 
-def signed(docs: DataFrame, bands: int, rows: int, key: str, text: str) -> DataFrame:
-    """doc_id, tag (of the text as it is), class (of the normalised text), bands, and a byte of each coordinate."""
+def signed(docs: DataFrame, bands: int, rows: int, key: str, text: str, measure: str = "set") -> DataFrame:
+    """doc_id, tag (of the text as it is), class (of the normalised text), bands, a byte of each coordinate, and mass (of the shingles under ``measure``)."""
 
     def make(batches):
         for b in batches:
             ids, tags, texts = b.column("doc_id"), b.column("tag"), b.column("text")
             for at in range(0, len(texts), 128):
-                cls, sets = [], []
+                cls, sets, mass = [], [], []
                 for t in texts.slice(at, 128):
                     norm = normalised(t.as_py())
                     items, counts = shingles(norm)
                     sets.append((items, weights_of(counts)))
+                    mass.append(float(len(items) if measure == "set" else weights_of(counts).sum()))
                     cls.append(hashlib.md5(norm.encode("utf-8", "replace")).digest())
                 made = dart_signatures(sets, bands * rows)
                 keys = [band_keys(s, bands, rows) if len(x[0]) else [] for s, x in zip(made, sets)]
                 sig = [s.tobytes() for s in made.astype(np.uint8)]
-                yield pa.RecordBatch.from_arrays([ids.slice(at, 128), tags.slice(at, 128), pa.array(cls, pa.binary()), pa.array(keys, pa.list_(pa.int64())), pa.array(sig, pa.binary())], ["doc_id", "tag", "class", "bands", "sig"])
+                yield pa.RecordBatch.from_arrays([ids.slice(at, 128), tags.slice(at, 128), pa.array(cls, pa.binary()), pa.array(keys, pa.list_(pa.int64())), pa.array(sig, pa.binary()), pa.array(mass, pa.float64())], ["doc_id", "tag", "class", "bands", "sig", "mass"])
 
-    return lean(docs).select(F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(-1).cast("long")).alias("doc_id"), F.xxhash64(F.col(f"`{text}`")).alias("tag"), F.col(f"`{text}`").alias("text")).mapInArrow(make, "doc_id long, tag long, class binary, bands array<long>, sig binary")
+    return lean(docs).select(F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(-1).cast("long")).alias("doc_id"), F.xxhash64(F.col(f"`{text}`")).alias("tag"), F.col(f"`{text}`").alias("text")).mapInArrow(make, "doc_id long, tag long, class binary, bands array<long>, sig binary, mass double")
 
 
 def candidates(entries: DataFrame, share: int = 4096, near: int = 1) -> DataFrame:
@@ -175,6 +180,27 @@ def candidates(entries: DataFrame, share: int = 4096, near: int = 1) -> DataFram
     return both.where("other is not null and other <> class").select(F.least("class", "other").alias("a"), F.greatest("class", "other").alias("b")).distinct()
 
 
+def remainder(entries: DataFrame, roots: DataFrame, tried: DataFrame, threshold: float, share: int = 4096) -> DataFrame:
+    """Pairs a < b of classes that share a bucket, are under different ``roots`` and aren't ``tried``, all of them.
+
+    ``entries`` hold class, band and mass. Two classes whose masses differ by more than the
+    threshold allows can't reach it and are left out. The classes outside a bucket's most
+    frequent root meet all its classes, dealt over salted shares.
+    """
+    rooted = entries.select("class", "band", "mass").join(roots, "class", "left").withColumn("root", F.coalesce("root", "class"))
+    rooted = stored(rooted, "rooted")
+    by_root = rooted.groupBy("band", "root").agg(F.count("*").alias("n"))
+    split = by_root.groupBy("band").agg(F.sum("n").alias("n"), F.count("*").alias("roots"), F.max(F.struct("n", "root")).getField("root").alias("major")).where("roots > 1")
+    split = split.select("band", "major", F.ceil(F.col("n") / share).cast("int").alias("shares"))
+    members = stored(rooted.join(split, "band"), "members")
+    minor = members.where("root <> major").select(F.col("class").alias("x"), "band", F.col("root").alias("root_x"), F.col("mass").alias("mass_x"), F.explode(F.sequence(F.lit(0), F.col("shares") - 1)).alias("salt"))
+    dealt = members.withColumn("salt", F.pmod(F.xxhash64("class"), F.col("shares")).cast("int"))
+    apart = (F.col("root") != F.col("root_x")) & ((F.col("root") == F.col("major")) | (F.col("x") < F.col("class")))
+    near_mass = F.least("mass", "mass_x") >= F.greatest("mass", "mass_x") * (threshold - 1e-9)
+    both = minor.join(dealt, ["band", "salt"]).where(apart & near_mass)
+    return both.select(F.least("x", "class").alias("a"), F.greatest("x", "class").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
+
+
 def similar(pairs: DataFrame, texts: DataFrame, threshold: float, measure: str) -> DataFrame:
     """The pairs whose exact similarity reaches the threshold."""
     both = pairs.join(texts.select(F.col("class").alias("a"), F.col("text").alias("text_a")), "a").join(texts.select(F.col("class").alias("b"), F.col("text").alias("text_b")), "b")
@@ -233,11 +259,12 @@ def components(links: DataFrame, rounds: int = 40) -> DataFrame:
 def near_duplicates(docs: DataFrame, threshold: float = 0.8, bands: int = 24, rows: int = 5, measure: str = "set", key: str = "doc_id", text: str = "text", near: int = 1) -> DataFrame:
     """doc_id, tag (xxhash64 of the text), cluster_id, cluster_size, links, kept for every row."""
     size = bands * rows
-    all_rows = stored(signed(docs, bands, rows, key, text), "signed")
+    all_rows = stored(signed(docs, bands, rows, key, text, measure), "signed")
     classes = stored(all_rows.groupBy("class").agg(F.min("doc_id").alias("first_id"), F.count("*").alias("n")), "classes")
     beside = F.expr("transform(bands, (x, i) -> named_struct('band', x, 'after', bands[(i + 1) % size(bands)]))")
-    entries = all_rows.select("class", "bands").dropDuplicates(["class"]).select("class", F.inline(beside))
-    pairs = stored(candidates(stored(entries, "entries"), near=near), "pairs")
+    entries = all_rows.select("class", "bands", "mass").dropDuplicates(["class"]).select("class", "mass", F.inline(beside))
+    entries = stored(entries, "entries")
+    pairs = stored(candidates(entries.drop("mass"), near=near), "pairs")
     sigs = all_rows.join(classes.select("class", F.col("first_id").alias("doc_id")), ["class", "doc_id"], "left_semi").groupBy("class").agg(F.min("sig").alias("sig"))
 
     def agree(batches):
@@ -248,18 +275,23 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, bands: int = 24, ro
             yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b")], ["a", "b"]).filter(pa.array((x == y).mean(axis=1) >= least))
 
     sigs = stored(sigs, "sigs")
-    close = pairs.join(sigs.select(F.col("class").alias("a"), F.col("sig").alias("sig_a")), "a").join(sigs.select(F.col("class").alias("b"), F.col("sig").alias("sig_b")), "b").select("a", "b", "sig_a", "sig_b").mapInArrow(agree, "a binary, b binary")
-    close = stored(close, "close")
-    needed = stored(close.select(F.col("a").alias("class")).union(close.select("b")).distinct().join(classes, "class").select("class", F.col("first_id").alias("doc_id")), "needed")
 
     def name(batches):
         for b in batches:
             cls = [hashlib.md5(normalised(t.as_py()).encode("utf-8", "replace")).digest() for t in b.column("text")]
             yield pa.RecordBatch.from_arrays([pa.array(cls, pa.binary()), b.column("doc_id"), b.column("text")], ["class", "doc_id", "text"])
 
-    some = flagged(docs.select(F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(-1).cast("long")).alias("doc_id"), F.col(f"`{text}`").alias("text")), needed, ["doc_id"]).where("maybe").drop("maybe")
-    texts = some.mapInArrow(name, "class binary, doc_id long, text string").join(needed, ["class", "doc_id"], "left_semi").groupBy("class").agg(F.min("text").alias("text"))
-    links = stored(similar(close, stored(texts, "texts"), threshold, measure), "similar")
+    def checked(pairs):
+        close = pairs.join(sigs.select(F.col("class").alias("a"), F.col("sig").alias("sig_a")), "a").join(sigs.select(F.col("class").alias("b"), F.col("sig").alias("sig_b")), "b").select("a", "b", "sig_a", "sig_b").mapInArrow(agree, "a binary, b binary")
+        close = stored(close, "close")
+        needed = stored(close.select(F.col("a").alias("class")).union(close.select("b")).distinct().join(classes, "class").select("class", F.col("first_id").alias("doc_id")), "needed")
+        some = flagged(docs.select(F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(-1).cast("long")).alias("doc_id"), F.col(f"`{text}`").alias("text")), needed, ["doc_id"]).where("maybe").drop("maybe")
+        texts = some.mapInArrow(name, "class binary, doc_id long, text string").join(needed, ["class", "doc_id"], "left_semi").groupBy("class").agg(F.min("text").alias("text"))
+        return stored(similar(close, stored(texts, "texts"), threshold, measure), "similar")
+
+    links = checked(pairs)
+    rest = checked(stored(remainder(entries, components(links), pairs, threshold), "rest"))
+    links = stored(links.unionByName(rest), "all_links")
     roots = components(links)
     degree = links.select(F.explode(F.array("a", "b")).alias("class")).groupBy("class").agg(F.count("*").alias("links"))
     placed = classes.join(roots, "class", "left").join(degree, "class", "left").withColumn("root", F.coalesce("root", "class"))
