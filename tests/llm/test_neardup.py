@@ -164,3 +164,22 @@ def test_remainder_is_every_untried_pair_across_roots(spark):
     got = [(int(bytes(r["a"])), int(bytes(r["b"]))) for r in N.remainder(entries, roots, pairs, 0.8, share=8).collect()]
     want = {(i, j) for i in at for j in at if i < j and set(at[i]) & set(at[j]) and root.get(i, i) != root.get(j, j) and (i, j) not in tried and min(mass[i], mass[j]) >= 0.8 * max(mass[i], mass[j])}
     assert len(got) == len(set(got)) and set(got) == want
+
+
+def test_copies_that_repeat_their_passages(spark):
+    """A text twice or more over has nearly the shingle set of the text once."""
+    rng = np.random.default_rng(31)
+    texts = []
+    for g in range(20):
+        base = words(rng, 120)
+        texts += [" ".join(base * k) for k in (1, 2, 3, 5)]
+    rows = [(i, t, "s", None) for i, t in enumerate(texts)]
+    got = {r["doc_id"]: r["cluster_id"] for r in N.near_duplicates(spark.createDataFrame(rows, SCHEMA)).collect()}
+    assert got == brute(rows) and len(set(got.values())) == 20
+
+
+def test_weights_measure_tells_repeats_apart(spark):
+    text = " ".join(words(np.random.default_rng(32), 120))
+    docs = spark.createDataFrame([(0, text, "s", None), (1, f"{text} {text} {text}", "s", None), (2, f"{text} end", "s", None)], SCHEMA)
+    got = {r["doc_id"]: r["cluster_id"] for r in N.near_duplicates(docs, measure="weights").collect()}
+    assert got == {0: 0, 1: 1, 2: 0}

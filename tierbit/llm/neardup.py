@@ -1,7 +1,8 @@
 """Near-duplicate groups by dart-throwing weighted MinHash and banded joining.
 
 A document is a weighted set of five-word shingles (lower case, words split at white
-space; a text of fewer words is one shingle); a shingle seen c times weighs 1 + ln c. Each
+space; a text of fewer words is one shingle). Where ``measure`` is the Jaccard of sets every
+shingle weighs 1, else one seen c times weighs 1 + ln c: search and decision agree. Each
 weight is a region of unit-wide strips, and every strip receives darts at unit rate over
 time from a generator seeded by the strip alone, so equal regions of two documents get
 equal darts. Darts above the weight miss. A dart's hash names one of the signature's
@@ -78,8 +79,8 @@ def shingles(norm: str) -> tuple[np.ndarray, np.ndarray]:
     return np.unique(mix(h), return_counts=True)
 
 
-def weights_of(counts: np.ndarray) -> np.ndarray:
-    return 1.0 + np.log(counts)
+def weights_of(counts: np.ndarray, measure: str = "weights") -> np.ndarray:
+    return np.ones(len(counts)) if measure == "set" else 1.0 + np.log(counts)
 
 
 def dart_signatures(sets: list[tuple[np.ndarray, np.ndarray]], size: int, seed: int = 1, wide: float = 1.0) -> np.ndarray:
@@ -149,8 +150,8 @@ def signed(docs: DataFrame, bands: int, rows: int, key: str, text: str, measure:
                 for t in texts.slice(at, 128):
                     norm = normalised(t.as_py())
                     items, counts = shingles(norm)
-                    sets.append((items, weights_of(counts)))
-                    mass.append(float(len(items) if measure == "set" else weights_of(counts).sum()))
+                    sets.append((items, weights_of(counts, measure)))
+                    mass.append(float(sets[-1][1].sum()))
                     cls.append(hashlib.md5(norm.encode("utf-8", "replace")).digest())
                 made = dart_signatures(sets, bands * rows)
                 keys = [band_keys(s, bands, rows) if len(x[0]) else [] for s, x in zip(made, sets)]
