@@ -109,3 +109,13 @@ def test_mixing_edges(spark, repeats):
     docs = spark.createDataFrame(rows, SCHEMA)
     assert mixing.mixed(docs, mixing.Mix(repeats=repeats)).count() == 4
     assert mixing.mixed(docs.limit(0)).count() == 0
+
+
+def test_hot_copies_do_not_thin_a_language(spark):
+    """A language with most of its rows in copies of one text is learned from its other texts."""
+    rng = np.random.default_rng(6)
+    text = lambda letters: " ".join("".join(rng.choice(list(letters), 5)) for _ in range(12))
+    rows = [(text("abcdefgh"), "aa") for _ in range(300)] + [(text("stuvwxyz"), "zz") for _ in range(300)]
+    copies = spark.range(60_000).selectExpr("'hhhh' as text", "'aa' as lang")
+    model = langid.fit(spark.createDataFrame(rows, "text string, lang string").unionByName(copies), F.lit(True), per_class=100)
+    assert sum(model.predict(text("abcdefgh"))[0] == "aa" for _ in range(60)) >= 58

@@ -3,8 +3,8 @@
 Features are TF-IDF weights of hashed character n-grams (1 to 3 letters, lower case, runs
 of anything but letters as one space), scaled to length one. Document frequencies count
 every learnable text. Weights are learned by follow-the-regularised-leader with elastic
-net on ``per_class`` documents of each language at most (the documented bound of the
-training sample), three quarters of them; the last quarter sets the temperature that
+net on ``per_class`` distinct texts of each language at most (the documented bound of the
+training sample; copies neither count nor thin it), three quarters of them; the last quarter sets the temperature that
 calibrates the probabilities.
 
 A null text or one without a letter is ``und`` with score 0, and so is every text if
@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tierbit.llm.common import lean, without
+from tierbit.llm.common import lean, stored, without
 
 BITS, ORDERS, CHUNK = 15, 3, 1 << 20
 _TABLE: list[np.ndarray] = []
@@ -126,7 +126,8 @@ def calibrate(logits: np.ndarray, y: np.ndarray) -> float:
 def fit(docs: DataFrame, learnable: Column, per_class: int = 400, text: str = "text", lang: str = "lang") -> Model:
     """Learn from rows where ``learnable`` holds and the language isn't null."""
     rows = docs.where(learnable & F.col(lang).isNotNull() & F.col(text).isNotNull()).select(F.col(lang).alias("lang"), F.col(text).alias("text"))
-    counts = {r[0]: r[1] for r in rows.groupBy("lang").count().collect()}
+    distinct = stored(rows.select("lang", F.xxhash64(F.lit(3), "text").alias("tag")).distinct(), "language-texts")
+    counts = {r[0]: r[1] for r in distinct.groupBy("lang").count().collect()}
     classes = sorted(counts)
     if not classes:
         return Model([], np.zeros(0), np.zeros((0, 0)), np.zeros(0))
@@ -142,10 +143,10 @@ def fit(docs: DataFrame, learnable: Column, per_class: int = 400, text: str = "t
     df = np.zeros(1 << BITS)
     for g, n in lean(rows.select("text")).mapInArrow(frequencies, "gram int, n long").groupBy("gram").agg(F.sum("n")).collect():
         df[g] = n
-    idf = (np.log((1 + sum(counts.values())) / (1 + df)) + 1).astype(np.float32)
+    idf = (np.log((1 + rows.count()) / (1 + df)) + 1).astype(np.float32)
     share = F.create_map(*[F.lit(x) for c in classes for x in (c, min(1.0, 1.3 * per_class / counts[c]))])
     chance = (F.pmod(F.xxhash64(F.lit(3), "text"), F.lit(1 << 30)) / float(1 << 30)) <= share[F.col("lang")]
-    sample = rows.where(chance).dropDuplicates(["text"]).limit(per_class * len(classes) * 2).collect()
+    sample = rows.where(chance).dropDuplicates(["lang", "text"]).limit(per_class * len(classes) * 2).collect()
     held = {c: [] for c in classes}
     for r in sorted(sample, key=lambda r: r["text"]):
         if len(held[r["lang"]]) < per_class:
