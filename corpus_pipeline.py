@@ -16,10 +16,10 @@ from tierbit.llm.queries import tokenizer_path
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents of no known language (null or without a letter) go."""
+    """Documents of no language (null or without a letter) go, whatever the model predicts for the others."""
     model = langid.fit(docs, F.coalesce(id_crc() % 3 != 1, F.lit(True)))
-    if not model.classes:
-        return docs
+    if not model.classes:  # the same rule
+        return docs.where(F.col("text").rlike(r"\p{L}"))
     wrapped = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), "text")
     return langid.identify(wrapped, model).where("lang_pred <> 'und'").select("row.*")
 

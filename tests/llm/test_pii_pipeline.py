@@ -108,3 +108,11 @@ def test_every_contract_query_has_its_columns(spark):
     texts = {r["doc_id"]: r["text"] for r in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").collect()}
     for r in got.collect():
         assert r["base_sha256"] == hashlib.sha256(brute(texts[r["doc_id"]]).encode()).hexdigest()
+
+
+def test_language_rule_holds_where_nothing_is_learned(spark):
+    import corpus_pipeline
+
+    rows = [(1, None, None, "s"), (2, "123 !", None, "s"), (3, "12 ä", None, "s"), (4, "", None, "s")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    assert [r["doc_id"] for r in corpus_pipeline.language(spark, docs, "").collect()] == [3]
