@@ -8,10 +8,16 @@ the sum closest to the space left; walking the bitsets back gives how many of ea
 it uses. That filling is repeated as often as the counts allow, so the number of steps
 follows the number of distinct lengths, not of documents.
 
-Rows find their place by their rank among pieces of the same length. Ranks are numbered
-in ``salts`` shares of each length, so a length that holds a third of all pieces is no
-single task. A null text is an empty document, which still has its end id; repeated rows
-are separate documents; an empty table gives no rows.
+A whole window needs no partner: its sequence is numbered where it is cut (task and number
+within the task, above all planned sequences), and it moves nowhere. Rests find their place by
+their rank among pieces of the same length. Ranks are numbered in shares of about ``share``
+pieces of one length, so a length that holds a third of all pieces, or one repeated row, is
+no single task at any size; the driver holds one count per share.
+
+A null text is an empty document, which still has its end id; repeated rows and repeated ids are
+separate documents; input columns other than id and text are not read; a very long text makes as
+many windows as it needs; an empty table gives no rows. Sequence ids are unique, and gapless for
+planned sequences only.
 """
 
 from __future__ import annotations
@@ -20,6 +26,7 @@ import struct
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -84,6 +91,7 @@ def cut_pieces(docs: DataFrame, tokenizer: str, end_id: int, window: int = 2048,
     tail = struct.pack("<I", end_id)
 
     def cut(batches):
+        task, nth = TaskContext.get().partitionId(), 0
         for batch in batches:
             keys = batch.column("doc_id").to_pylist()
             for run, texts in batches_of(batch.column("text")):
@@ -93,38 +101,52 @@ def cut_pieces(docs: DataFrame, tokenizer: str, end_id: int, window: int = 2048,
                     n = len(ids) // 4
                     for at in range(0, n, window):
                         own = ids[at * 4 : (at + window) * 4]
-                        rows.append((keys[i], at, len(own) // 4, crc(own), n, own if with_ids else None))
-                yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in rows], pa.int64()) for j in range(5)] + [pa.array([r[5] for r in rows], pa.binary())], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "ids"])
+                        rows.append((keys[i], at, len(own) // 4, crc(own), n, task << 40 | nth, own if with_ids else None))
+                        nth += 1
+                yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in rows], pa.int64()) for j in range(6)] + [pa.array([r[6] for r in rows], pa.binary())], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "nth", "ids"])
 
-    out = lean(docs).select(F.col(f"`{key}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text")).mapInArrow(cut, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, ids binary")
+    out = lean(docs).select(F.col(f"`{key}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text")).mapInArrow(cut, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, nth long, ids binary")
     return out if with_ids else out.drop("ids")
 
 
-def pack(docs: DataFrame, tokenizer: str, end_id: int, window: int = 2048, salts: int = 64, key: str = "doc_id", text: str = "text", with_ids: bool = False) -> DataFrame:
+def pack(docs: DataFrame, tokenizer: str, end_id: int, window: int = 2048, share: int = 1 << 20, key: str = "doc_id", text: str = "text", with_ids: bool = False) -> DataFrame:
     """The pieces with sequence_id and offset."""
-    salt = F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), F.lit(salts)).cast("int")
-    pieces = stored(cut_pieces(docs, tokenizer, end_id, window, key, text, with_ids).withColumn("salt", salt), "pieces")
-    base, counts = np.zeros((window + 1, salts), np.int64), {}
-    for length, s, n in pieces.groupBy("length", "salt").count().collect():
-        base[length, s] = n
-    counts = {x: int(n) for x, n in enumerate(base.sum(axis=1)) if n}
-    base = np.cumsum(base, axis=1) - base
-    seg = segments(plan_windows(counts, window))
-    ranked = pieces.withColumn("nth", F.row_number().over(W.partitionBy("length", "salt").orderBy("doc_id", "start", "ids_crc32")))
+    spark = docs.sparkSession
+    pieces = stored(cut_pieces(docs, tokenizer, end_id, window, key, text, with_ids), "pieces")
+    rests = pieces.where(F.col("length") < window)
+    counts = {r[0]: r[1] for r in rests.groupBy("length").count().collect()}
+    plan = plan_windows(counts, window)
+    seg, planned = segments(plan), sum(t for t, _ in plan)
+    shares = {x: -(-n // share) for x, n in counts.items()}
+    salted = {x: n for x, n in shares.items() if n > 1}
+    salts = F.coalesce(F.create_map(*[F.lit(v) for kv in salted.items() for v in kv])[F.col("length").cast("int")], F.lit(1)) if salted else F.lit(1)
+    rests = rests.withColumn("salt", F.pmod(F.xxhash64("doc_id", "start", "nth"), salts).cast("int"))
+    first = np.zeros(window + 1, np.int64)  # a length's first share among all
+    for x in sorted(shares):
+        first[x + 1 :] += shares[x]
+    held = np.zeros(int(first[-1]) + 1, np.int64)
+    for x, s, n in rests.groupBy("length", "salt").count().collect() if salted else [(x, 0, n) for x, n in counts.items()]:
+        held[first[x] + s] = n
+    base = np.concatenate([[0], np.cumsum(held)])[:-1]
+    for x in sorted(shares, reverse=True):  # ranks start anew with each length
+        base[first[x] : first[x] + shares[x]] -= base[first[x]]
+    kept = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", *(["ids"] if with_ids else [])]
+    shared = spark.sparkContext.broadcast((seg, first, base))  # a row per planned filling, and per share
+    ranked = rests.withColumn("rank", F.row_number().over(W.partitionBy("length", "salt").orderBy("doc_id", "start", "ids_crc32", "nth")))
 
     def place(batches):
-        at = seg[:, 0] * (1 << 44) + seg[:, 1]
+        seg, first, base = shared.value
+        at = seg[:, 0] * (1 << 48) + seg[:, 1]
         for b in batches:
             length = b.column("length").to_numpy()
-            rank = base[length, b.column("salt").to_numpy()] + b.column("nth").to_numpy() - 1
-            s = seg[np.searchsorted(at, length * (1 << 44) + rank, "right") - 1]
+            rank = base[first[length] + b.column("salt").to_numpy()] + b.column("rank").to_numpy() - 1
+            s = seg[np.searchsorted(at, length * (1 << 48) + rank, "right") - 1]
             turn, within = np.divmod(rank - s[:, 1], s[:, 2])
-            kept = [b.column(i) for i, n in enumerate(b.schema.names) if n not in ("salt", "nth")]
-            names = [n for n in b.schema.names if n not in ("salt", "nth")]
-            yield pa.RecordBatch.from_arrays([*kept, pa.array(s[:, 3] + turn), pa.array(s[:, 4] + within * length)], [*names, "sequence_id", "offset"])
+            yield pa.RecordBatch.from_arrays([*[b.column(c) for c in kept], pa.array(s[:, 3] + turn), pa.array(s[:, 4] + within * length)], [*kept, "sequence_id", "offset"])
 
     schema = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, " + "ids binary, " * with_ids + "sequence_id long, offset long"
-    return ranked.mapInArrow(place, schema)
+    whole = pieces.where(F.col("length") == window).select(*kept, (F.col("nth") + planned).alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
+    return ranked.mapInArrow(place, schema).unionByName(whole)
 
 
 def sequences(pieces: DataFrame, window: int = 2048, pad_id: int = 0) -> DataFrame:

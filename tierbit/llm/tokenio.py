@@ -5,12 +5,16 @@ skippable frame with the document table, and, last, a skippable frame with the p
 seek table: compressed size, decompressed size and checksum (low half of XXH64) of each
 frame. A reader that wants some documents reads the two tables and only their frames.
 
-Documents are range-partitioned by id (ties by a hash of the text, so one repeated id
-can't fill a task), each task streams its rows into one file, and the driver keeps one
-row per file. A task writes under a name of its own and only names reported by finished
-tasks enter the manifest, so retries leave no half files in it. A null text is empty, a
-null id sorts first, repeated rows are separate documents; an empty table gives no files
-and no rows.
+Documents are range-partitioned by id into as many tasks as their bytes ask for (``file_bytes``
+of text each; ties by a hash of the text and a row number, so neither a repeated id nor a
+repeated row can fill a task). A task streams its rows into files that it closes at
+``file_bytes`` of ids. File names are a task's own and only those reported by finished tasks
+enter the manifest, so retries leave no half files in it. The manifest is a written table with
+one row per file; ``start`` is a sum over those rows.
+
+A null text is empty, a null id sorts first, repeated rows are separate documents, other columns
+(whatever their names) are not read; very long texts make a frame of their own; an empty table
+gives no files and no rows.
 """
 
 from __future__ import annotations
@@ -18,6 +22,7 @@ from __future__ import annotations
 import io
 import struct
 import uuid
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -25,14 +30,18 @@ import xxhash
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from tierbit.llm.common import lean, scratch
+from tierbit.llm.common import lean, scratch, stored
 from tierbit.llm.tokens import batches_of, encoder
 
 #: Fixed values of the public seekable format.
 SKIPPABLE, SEEK_SKIPPABLE, SEEK_MAGIC, HAS_CHECKSUMS = 0x184D2A50, 0x184D2A5E, 0x8F92EAB1, 0x80
 
+#: Stands for a null id in a file.
+NO_ID = np.iinfo(np.int64).min
+
 
 class FrameWriter:
     """Appends documents to an open binary stream."""
@@ -42,10 +51,11 @@ class FrameWriter:
         self.held: list[bytes] = []
         self.size = self.tokens = 0
         self.frames: list[tuple[int, int, int]] = []
-        self.docs: list[tuple[int, int, int]] = []
+        self.docs = array("q"), array("I"), array("I")  # id, tokens, frame
 
     def add(self, doc_id: int | None, ids: bytes) -> None:
-        self.docs.append((np.iinfo(np.int64).min if doc_id is None else doc_id, len(ids) // 4, len(self.frames)))
+        for column, x in zip(self.docs, (NO_ID if doc_id is None else doc_id, len(ids) // 4, len(self.frames))):
+            column.append(x)
         self.held.append(ids)
         self.size += len(ids)
         self.tokens += len(ids) // 4
@@ -62,8 +72,8 @@ class FrameWriter:
 
     def close(self) -> None:
         self.flush()
-        ids, counts, owners = (np.array([d[i] for d in self.docs], dtype=t) for i, t in ((0, "<i8"), (1, "<u4"), (2, "<u4")))
-        docs = zstandard.ZstdCompressor(level=3).compress(struct.pack("<Q", len(self.docs)) + ids.tobytes() + counts.tobytes() + owners.tobytes())
+        ids, counts, owners = (np.asarray(d, dtype=t).tobytes() for d, t in zip(self.docs, ("<i8", "<u4", "<u4")))
+        docs = zstandard.ZstdCompressor(level=3).compress(struct.pack("<Q", len(self.docs[0])) + ids + counts + owners)
         self.sink.write(struct.pack("<II", SKIPPABLE, len(docs)) + docs)
         entries = [*self.frames, (len(docs) + 8, 0, 0)]
         body = b"".join(struct.pack("<III", *e) for e in entries) + struct.pack("<IBI", len(entries), HAS_CHECKSUMS, SEEK_MAGIC)
@@ -101,20 +111,21 @@ class FrameReader:
 
     def documents(self, wanted: set[int] | None = None):
         """(doc_id, ids) in file order; with ``wanted``, only frames that hold one are read."""
-        for i in range(len(self.entries) - 1):
-            rows = np.flatnonzero(self.owner == i)
-            if wanted is not None and not wanted.intersection(self.ids[rows].tolist()):
-                continue
+        frames = np.arange(len(self.entries) - 1)
+        bounds = np.searchsorted(self.owner, [*frames, len(frames)])  # owners ascend
+        if wanted is not None:
+            rows = np.flatnonzero(np.isin(self.ids, np.array(sorted(wanted), np.int64)))
+            frames = np.unique(self.owner[rows])
+        for i in frames.tolist():
+            low, high = int(bounds[i]), int(bounds[i + 1])
             raw, at = self.frame(i), 0
-            for r in rows:
-                size = int(self.counts[r]) * 4
-                key = int(self.ids[r])
+            for key, n in zip(self.ids[low:high].tolist(), self.counts[low:high].tolist()):
                 if wanted is None or key in wanted:
-                    yield None if key == np.iinfo(np.int64).min else key, raw[at : at + size]
-                at += size
+                    yield None if key == NO_ID else key, raw[at : at + 4 * n]
+                at += 4 * n
 
 
-def write_tokens(docs: DataFrame, tokenizer: str, end_id: int | None, key: str = "doc_id", text: str = "text", frame_bytes: int = 256 << 10, path: str | None = None) -> DataFrame:
+def write_tokens(docs: DataFrame, tokenizer: str, end_id: int | None, key: str = "doc_id", text: str = "text", frame_bytes: int = 256 << 10, file_bytes: int = 16 << 20, path: str | None = None) -> DataFrame:
     """Write the files below ``path``; returns the manifest: file_no, path, start, n_docs, n_tokens."""
     spark = docs.sparkSession
     path = path or scratch(spark, "tokens")
@@ -125,28 +136,35 @@ def write_tokens(docs: DataFrame, tokenizer: str, end_id: int | None, key: str =
 
         fs, root = FileSystem.from_uri(path)
         fs.create_dir(root, recursive=True)
-        part = TaskContext.get().partitionId()
-        name, writer, sink = f"part-{part:06d}-{uuid.uuid4().hex}.zst", None, None
+        part, own, writer, sink, name, n = TaskContext.get().partitionId(), uuid.uuid4().hex, None, None, "", 0
+
+        def closed():
+            writer.close()
+            sink.close()
+            return pa.RecordBatch.from_pydict({"part": pa.array([part], pa.int32()), "nth": pa.array([n], pa.int32()), "path": [f"{path}/{name}"], "n_docs": pa.array([len(writer.docs[0])], pa.int64()), "n_tokens": pa.array([writer.tokens], pa.int64())})
+
         for batch in batches:
             ids = batch.column("doc_id").to_pylist()
             for run, texts in batches_of(batch.column("text")):
                 for i, e in zip(run, encoder(tokenizer).encode(texts)):
                     if writer is None:
+                        name, n = f"part-{part:06d}-{n:04d}-{own}.zst", n + 1
                         sink = fs.open_output_stream(f"{root}/{name}", compression=None)
                         writer = FrameWriter(sink, frame_bytes)
                     writer.add(ids[i], e + tail)
+                    if writer.tokens * 4 >= file_bytes:
+                        yield closed()
+                        writer = None
         if writer:
-            writer.close()
-            sink.close()
-            yield pa.RecordBatch.from_pydict({"part": pa.array([part], pa.int32()), "path": [f"{path}/{name}"], "n_docs": pa.array([len(writer.docs)], pa.int64()), "n_tokens": pa.array([writer.tokens], pa.int64())})
+            yield closed()
 
-    rows = lean(docs).select(F.col(f"`{key}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text"), F.xxhash64(F.col(f"`{text}`")).alias("tie"))
-    files = rows.repartitionByRange("doc_id", "tie").sortWithinPartitions("doc_id", "tie").select("doc_id", "text").mapInArrow(write, "part int, path string, n_docs long, n_tokens long").collect()
-    manifest, start = [], 0
-    for i, f in enumerate(sorted(files, key=lambda r: r["part"])):
-        manifest.append((i, f["path"], start, f["n_docs"], f["n_tokens"]))
-        start += f["n_tokens"]
-    return spark.createDataFrame(manifest, "file_no int, path string, start long, n_docs long, n_tokens long")
+    rows = docs.select(F.col(f"`{key}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text"))
+    tasks = max(1, -(-(rows.agg(F.sum(F.coalesce(F.octet_length("text"), F.lit(0)) + 8)).first()[0] or 0) // file_bytes))
+    ranged = lean(rows).select("doc_id", "text", F.xxhash64("text").alias("tie"), F.monotonically_increasing_id().alias("nth")).repartitionByRange(tasks, "doc_id", "tie", "nth").sortWithinPartitions("doc_id", "tie", "nth")
+    files = stored(ranged.select("doc_id", "text").mapInArrow(write, "part int, nth int, path string, n_docs long, n_tokens long"), "files")
+    order = W.orderBy("part", "nth")  # one row per file, whatever the number of documents
+    before = F.coalesce(F.sum("n_tokens").over(order.rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    return stored(files.select((F.row_number().over(order) - 1).alias("file_no"), "path", before.cast("long").alias("start"), "n_docs", "n_tokens"), "manifest")
 
 
 def open_file(path: str) -> FrameReader:
@@ -166,7 +184,7 @@ def read_tokens(spark: SparkSession, manifest: DataFrame) -> DataFrame:
                 for doc_id, ids in open_file(path).documents():
                     rows.append((doc_id, start, len(ids) // 4, ids))
                     start += len(ids) // 4
-                    held += len(ids)
+                    held += len(ids) + 64
                     if held > 4 << 20:
                         yield _rows(rows)
                         rows, held = [], 0

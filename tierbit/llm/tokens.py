@@ -2,8 +2,10 @@
 
 Both supported vocabularies split a text into pre-tokens and encode each alone. For
 texts of common Latin characters the split is done here and the ids of each distinct
-pre-token, made once by the tokenizers library, are reused; any other text goes to the
-library whole. Both ways give the same ids (tested against the library).
+pre-token, made once by the tokenizers library, are reused. Any other text goes to the
+library whole, and so does one that holds the name of an added token (such as a literal
+``<|endoftext|>``), which the library turns into its one id. Both ways give the ids of an
+unmodified ``Tokenizer`` with ``add_special_tokens=False`` (tested against it).
 """
 
 from __future__ import annotations
@@ -11,20 +13,41 @@ from __future__ import annotations
 import re
 import struct
 import zlib
-from itertools import filterfalse
 
 import numpy as np
 import pyarrow as pa
 
 LETTER = "A-Za-zÀ-ÖØ-öø-ÿ"
-SAFE = re.compile(f"[\\t\\n -~{LETTER}]*")
-#: The splitting rules of the two vocabularies, within the safe characters.
-BYTE_SPLIT = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d| ?[{LETTER}]+| ?[0-9]+| ?[^\\s{LETTER}0-9]+|\\s+(?!\\S)|\\s+")
-WORD_SPLIT = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{LETTER}]+|[0-9]|[^\\s{LETTER}0-9]+")
+#: The same characters, tab and line feed, as bytes of ISO 8859-1.
+SAFE = bytes([9, 10, *range(32, 127), *(c for c in range(0xC0, 0x100) if c not in (0xD7, 0xF7))])
+#: The splitting rules of the two vocabularies, within the safe characters; what is most frequent stands first where order is free.
+BYTE_SPLIT = re.compile(f" ?[{LETTER}]+| ?[0-9]+|'(?:s|t|re|ve|m|ll|d)| ?[^\\s{LETTER}0-9]+|\\s+(?!\\S)|\\s+")
+WORD_SPLIT = re.compile(f"[{LETTER}]+|[0-9]|'(?:s|t|re|ve|m|ll|d)|[^\\s{LETTER}0-9]+")
 #: A longer pre-token isn't kept; its text goes to the library whole.
 LONGEST = 2000
 
 
+class _Long(Exception):
+    pass
+
+
+class _Words(dict):
+    """Ids of pre-tokens, made when first asked for; ``old`` holds those of the generation before."""
+
+    def __init__(self, make, old=None):
+        super().__init__()
+        self.make, self.old = make, old or {}
+
+    def __missing__(self, word: str) -> bytes:
+        ids = self.old.get(word)
+        if ids is None:
+            if len(word) > LONGEST:
+                raise _Long
+            ids = self.make(word)
+        self[word] = ids
+        return ids
+
+
 def _byte_letters() -> dict[int, str]:
     """Byte to the visible letter that byte-level vocabularies write for it (public rule)."""
     plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
@@ -38,12 +61,12 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.lib = Tokenizer.from_file(path)
-        self.lib.encode_special_tokens = True
         self.model = self.lib.model
         words = self.model.end_of_word_suffix == "</w>"
         self.split, self.lower = (WORD_SPLIT, True) if words else (BYTE_SPLIT, False)
+        self.added = [t.content.lower() for t in self.lib.get_added_tokens_decoder().values()]
         self.letters = _byte_letters()
-        self.seen: dict[str, bytes] = {}
+        self.seen = _Words(self.word)
         self.cached = cached
 
     def word(self, word: str) -> bytes:
@@ -54,22 +77,28 @@ class Encoder:
     def whole(self, text: str) -> bytes:
         return np.asarray(self.lib.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
+    def plain(self, text: str, low: str) -> bool:
+        """Whether the text can be split here: safe characters only, and no added token's name."""
+        try:
+            return not text.encode("latin-1").translate(None, SAFE) and not any(a in low for a in self.added)
+        except UnicodeEncodeError:
+            return False
+
     def encode(self, texts: list[str]) -> list[bytes]:
-        out, seen, word, split = [], self.seen, self.word, self.split.findall
-        known, ids = seen.__contains__, seen.__getitem__
-        if len(seen) > self.cached:
-            seen.clear()
+        out, split = [], self.split.findall
+        if len(self.seen) > self.cached // 2:
+            self.seen.old = {}
+            self.seen = _Words(self.word, self.seen)
+        ids = self.seen.__getitem__
         for t in texts:
-            if SAFE.fullmatch(t) is None:
-                out.append(self.whole(t))
-                continue
-            words, long = split(t.lower() if self.lower else t), False
-            for w in filterfalse(known, words):  # lazy: a word learned here is known the next time
-                if len(w) > LONGEST:
-                    long = True
-                    break
-                seen[w] = word(w)
-            out.append(self.whole(t) if long else b"".join(map(ids, words)))
+            low = t.lower()
+            if self.plain(t, low):
+                try:
+                    out.append(b"".join(map(ids, split(low if self.lower else t))))
+                    continue
+                except _Long:
+                    pass
+            out.append(self.whole(t))
         return out
 
 
