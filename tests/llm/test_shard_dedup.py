@@ -43,19 +43,58 @@ def test_empty_table(spark):
 
 @pytest.mark.parametrize("keep,fan_in", [("largest", 2), ("smallest", 16)])
 def test_exact_dedup_against_brute_force(spark, keep, fan_in):
-    docs = spark.createDataFrame(ROWS, SCHEMA).repartition(9)
+    docs = spark.createDataFrame([*ROWS, *ROWS[:30]], SCHEMA).repartition(9)  # whole rows repeat
     groups: dict[str, list] = {}
-    for r in ROWS:
+    for r in [*ROWS, *ROWS[:30]]:
         groups.setdefault(r[1] or "", []).append(r[0])
     pick = {t: (max if keep == "largest" else min)((i for i in g if i is not None), default=None) for t, g in groups.items()}
-    want = sorted((str(r[0]), str(pick[r[1] or ""]), len(groups[r[1] or ""]), r[0] == pick[r[1] or ""], hashlib.sha256((r[1] or "").encode()).hexdigest()) for r in ROWS)
-    got = exactdedup.exact_dedup(docs, keep, fan_in).collect()
-    assert sorted((str(r["doc_id"]), str(r["keep_id"]), r["group_size"], r["kept"], r["text_sha256"]) for r in got) == want
+    want = sorted((str(r[0]), str(pick[r[1] or ""]), len(groups[r[1] or ""]), hashlib.sha256((r[1] or "").encode()).hexdigest()) for r in [*ROWS, *ROWS[:30]])
+    for hot in (10_000, 5):
+        got = exactdedup.exact_dedup(docs, keep, fan_in, hot=hot).collect()
+        assert sorted((str(r["doc_id"]), str(r["keep_id"]), r["group_size"], r["text_sha256"]) for r in got) == want
+        kept = [r for r in got if r["kept"]]  # one row of each text, also where rows repeat
+        assert all(r["doc_id"] == r["keep_id"] for r in kept)
+        assert sorted(r["text_sha256"] for r in kept) == sorted(hashlib.sha256(t.encode()).hexdigest() for t in groups)
+
+
+def test_runs_are_sorted_and_merging_keeps_them_so(spark):
+    rows = exactdedup.digests(spark.range(5000).selectExpr("id as doc_id", "cast(id % 1500 as string) as text").repartition(7))
+    rows = exactdedup.stored(rows, "digests")
+    runs = exactdedup.sorted_runs(rows, True, 64, 800).collect()
+    assert len({r["run"] for r in runs}) == 7 and max(r["n"] for r in runs) < 400
+    for r in runs:
+        e = np.frombuffer(r["entries"], exactdedup.ENTRY)
+        assert (np.diff(e["d0"].astype(object)) > 0).all() and len(set((e["d0"] >> np.uint64(60)).tolist())) == 1
+    for fan_in in (2, 3, 16):
+        got = exactdedup.merge_runs(rows, "largest", fan_in, segment=64)
+        assert got.count() == 1500 and got.agg({"group_size": "sum"}).first()[0] == 5000
+        assert {r[0] for r in got.select("keep_id").collect()} == set(range(3500, 5000))
 
 
 def test_digest_is_not_trusted_alone(spark):
-    same = spark.createDataFrame([(bytearray(32), 3, 1, 0, 1), (bytearray(32), 3, 2, 0, 2)], "text_sha256 binary, n_bytes int, check long, run int, doc_id long")
-    assert exactdedup.merge_runs(same).count() == 2
+    same = spark.createDataFrame([(bytearray(32), 3, 1, 1, 1), (bytearray(32), 3, 2, 2, 2), (bytearray(32), 4, 2, 3, 3)], "text_sha256 binary, n_bytes long, check long, row long, doc_id long")
+    assert exactdedup.merge_runs(same).count() == 3
+
+
+def test_survivors_keep_one_row_of_each_text(spark):
+    rows = [*ROWS, *ROWS[:30], (5, "text 5", "fr", None, 2), (None, None, "en", None, 1)]
+    got = exactdedup.survivors(spark.createDataFrame(rows, SCHEMA).repartition(5))
+    assert got.columns == ["doc_id", "text", "lang", "shard", "SLOT"]
+    best = {}
+    for r in rows:
+        best[r[1] or ""] = max(-1 if r[0] is None else r[0], best.get(r[1] or "", -1))
+    out = got.collect()
+    assert sorted((r["text"] or "", -1 if r["doc_id"] is None else r["doc_id"]) for r in out) == sorted(best.items())
+    assert exactdedup.survivors(spark.createDataFrame([], SCHEMA)).count() == 0
+
+
+def test_extreme_and_null_ids(spark):
+    low, high = -(2**63), 2**63 - 1
+    docs = spark.createDataFrame([(low, "a"), (None, "a"), (high, "b"), (low, "b"), (None, "c"), (None, "c")], "doc_id long, text string")
+    for keep, b in (("largest", high), ("smallest", low)):
+        got = {r["text_sha256"][:4]: (r["keep_id"], r["group_size"]) for r in exactdedup.exact_dedup(docs, keep).collect() if r["kept"]}
+        sha = lambda t: hashlib.sha256(t.encode()).hexdigest()[:4]
+        assert got == {sha("a"): (low, 2), sha("b"): (b, 2), sha("c"): (None, 2)}
 
 
 def test_bitmap_and_drop_rows(spark):
