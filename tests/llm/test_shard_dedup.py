@@ -1,4 +1,5 @@
 import hashlib
+import zlib
 
 import numpy as np
 import pytest
@@ -20,19 +21,48 @@ def test_fisher_yates_is_a_permutation_and_uniform():
     assert abs(seen - 1000).max() < 150
 
 
-@pytest.mark.parametrize("bucket_bytes", [500, 1 << 20])
-def test_shards_are_even_gapless_and_whole(spark, bucket_bytes):
-    docs = spark.createDataFrame(ROWS, SCHEMA)
+@pytest.mark.parametrize("bucket_bytes", [3000, 1 << 20])
+def test_shards_are_even_gapless_and_whole(spark, bucket_bytes, tmp_path):
+    rows_in = ROWS + [(7, "one row", "en", None, 4)] * 400  # most of the table is one row
+    spark.createDataFrame(rows_in, SCHEMA).coalesce(1).write.parquet(f"{tmp_path}/docs")
+    docs = spark.read.parquet(f"{tmp_path}/docs")
     out = shard.shuffle_into_shards(docs, 8, bucket_bytes=bucket_bytes)
     rows = out.collect()
     sizes = [[r["slot"] for r in rows if r["shard"] == s] for s in range(8)]
-    assert max(map(len, sizes)) - min(map(len, sizes)) <= 1 and sum(map(len, sizes)) == len(ROWS)
+    assert max(map(len, sizes)) - min(map(len, sizes)) <= 1 and sum(map(len, sizes)) == len(rows_in)
     assert all(sorted(s) == list(range(len(s))) for s in sizes)
+    hot = [sum(r["doc_id"] == 7 and r["text"] == "one row" for r in rows if r["shard"] == s) for s in range(8)]
+    assert min(hot) > 20
     key = lambda r: (str(r[0]), str(r[1]))
-    assert sorted(map(key, [(r["doc_id"], r["text"]) for r in rows])) == sorted(map(key, ROWS))
-    again = shard.shuffle_into_shards(docs.repartition(3), 8, bucket_bytes=bucket_bytes)
+    assert sorted(map(key, [(r["doc_id"], r["text"]) for r in rows])) == sorted(map(key, rows_in))
     place = lambda df: sorted((str(r["doc_id"]), str(r["text"])[:9], r["shard"], r["slot"]) for r in df.collect())
-    assert place(again) == place(out)
+    spark.conf.set("spark.sql.files.maxPartitionBytes", "4k")
+    try:
+        assert place(shard.shuffle_into_shards(docs, 8, bucket_bytes=bucket_bytes)) == place(out)
+    finally:
+        spark.conf.unset("spark.sql.files.maxPartitionBytes")
+    other = shard.shuffle_into_shards(docs, 8, seed=3, bucket_bytes=bucket_bytes)
+    assert place(other) != place(out)
+    unread = shard.shuffle_into_shards(spark.createDataFrame(ROWS, SCHEMA), 3, bucket_bytes=bucket_bytes)
+    assert unread.count() == len(ROWS) and sorted(unread.columns) == ["doc_id", "lang", "shard", "slot", "text"]
+
+
+def test_registered_sharding_and_dedup(spark):
+    import __spark_entry__ as E
+
+    docs = {r["doc_id"]: r["text"] or "" for r in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").collect()}
+    got = E.queries()["op1_sharding"](spark, "/root/testdata/sf0.001").collect()
+    assert {r["doc_id"]: (r["size"], r["text_crc32"]) for r in got} == {i: (len(t.encode()) + 1, zlib.crc32(t.encode())) for i, t in docs.items()} and len(got) == len(docs)
+    by: dict = {}
+    for r in got:
+        assert r["law"] == "rows" and r["grown_shard"] is None
+        by.setdefault(r["shard"], []).append(r["slot"])
+    assert sorted(by) == list(range(8)) and all(sorted(s) == list(range(len(s))) for s in by.values())
+    got = E.queries()["op9_exactdedup"](spark, "/root/testdata/sf0.001").collect()
+    best: dict = {}
+    for i, t in docs.items():
+        best[t] = max(i, best.get(t, -1))
+    assert {r["doc_id"]: r["keep_id"] for r in got} == {i: best[t] for i, t in docs.items()}
 
 
 def test_empty_table(spark):
