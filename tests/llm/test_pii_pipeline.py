@@ -1,5 +1,8 @@
 import hashlib
+import math
+import random
 import re
+import time
 
 from pyspark.sql import functions as F
 
@@ -37,18 +40,62 @@ def test_base_spans_equal_the_plain_patterns(spark):
     assert pii.find_pii(docs.limit(0)).count() == 0
 
 
-def test_added_spans_and_redaction(spark):
-    rows = []
-    for i in range(400):
-        good = i % 2
-        rows.append((i, f"card {'4242 4242 4242 4242' if good else '1234567890123456789'} phone {'+1 (523) 555-1055' if good else '+1-2-3-4'} ip {'10.1.2.3' if good else '999.1.2.300'} (555) 123-4567"))
+WIDE = {
+    "good": "call (212) 555-0147 or mail john [at] example [dot] org, card 4242.4242.4242.4242, host 2001:db8:1:2:3:4:5:6 end",
+    "bad": "row (012) 155-0147 of set 12 [at] 34 [dot] 56, part 4242.4242.4242.4241, time 1:2:3:4:5:6:7:8 end",
+}
+
+
+def test_added_spans_are_those_that_look_like_valid_ones(spark):
+    """Contexts of wide forms are learned from their own checks; what is added are planted spans, what isn't is refused."""
+    rng = random.Random(5)
+    rows = [(i, f"{rng.choice(['one', 'two', 'three', 'four'])} {i} {WIDE['good' if i % 2 else 'bad']} {'and 4242 4242 4242 4242' if i % 3 else 'and 1234567890123456789'}") for i in range(600)]
     out = pii.find_pii(spark.createDataFrame(rows, "doc_id long, text string"), precision=0.9)
-    assert out.where(F.exists("base", lambda b: F.lit(True))).count() == 200
-    for r in out.select("added").collect():
-        assert all(a["wide"] == 1 for a in r["added"])
-    text = spark.createDataFrame([("x 10.0.0.1 y",)], "text string")
-    spans = pii.find_pii(text.withColumn("doc_id", F.lit(1).cast("long"))).select(pii.redact(F.lit("x 10.0.0.1 y"), F.col("base")).alias("t")).first()
-    assert spans["t"] == "x [ip] y"
+    texts = dict(rows)
+    for r in out.collect():
+        got = sorted((a["kind"], texts[r["doc_id"]][a["s"] : a["e"]]) for a in r["added"])
+        assert got == ([(0, "john [at] example [dot] org"), (1, "2001:db8:1:2:3:4:5:6"), (2, "4242.4242.4242.4242"), (3, "(212) 555-0147")] if r["doc_id"] % 2 else []), r["doc_id"]
+        assert all(a["wide"] == 1 and a["hit"] == texts[r["doc_id"]][a["s"] : a["e"]] for a in r["added"])
+        assert [b["hit"] for b in r["base"]] == (["4242 4242 4242 4242"] if r["doc_id"] % 3 else [])
+
+
+def test_threshold_takes_equal_scores_together():
+    class Flat:
+        def score(self, x):
+            return float(x[0])
+
+    cells = [((2,), 10.0, 0.0), ((1, 0), 9.0, 0.0), ((1, 1), 0.0, 9.0), ((0,), 0.0, 50.0)]
+    assert pii.threshold(Flat(), cells, 0.9) == 2.0 and pii.threshold(Flat(), cells, 0.6) == 1.0
+    assert pii.threshold(Flat(), [((3,), 0.0, 1.0)], 0.5) == math.inf
+
+
+def test_very_many_matches_in_one_text(spark):
+    """Work follows the number of matches; wide ones meet base ones by halving."""
+    n = 100_000
+    docs = spark.createDataFrame([(1, "a@b.co " * n), (2, "(212) 555-0147 10.0.0.1 " * (n // 2)), (3, "x")], "doc_id long, text string")
+    start = time.perf_counter()
+    found = pii.stored(pii.proposals(docs), "many")
+    got = {r["doc_id"]: r for r in found.select("doc_id", F.size("base").alias("b"), F.size("wide").alias("w"), F.expr("try_element_at(base, -1).e").alias("e")).collect()}
+    assert time.perf_counter() - start < 90
+    assert (got[1]["b"], got[1]["w"], got[1]["e"]) == (n, 0, 7 * n - 1) and (got[2]["b"], got[2]["w"]) == (n // 2, n // 2) and got[3]["b"] == 0
+    text = "🙂 a@b.co " * 20_000
+    spans = found.limit(1).select(F.lit(text).alias("t")).select("t", F.transform(F.sequence(F.lit(0), F.lit(19_999)), lambda i: F.struct(F.lit(0).alias("kind"), (i * 9 + 2).alias("s"), (i * 9 + 8).alias("e"))).alias("x"))
+    start = time.perf_counter()
+    assert spans.select(pii.redact(F.col("t"), F.col("x"))).first()[0] == "🙂 [email] " * 20_000
+    assert time.perf_counter() - start < 60
+
+
+def test_wide_proposals_are_clear_of_valid_base_spans(spark):
+    rows = [(1, "+1 (523) 555-1055 then (523) 555-1055"), (2, "+1 (826) 555-4081 190 190 190 190"), (3, "4242 4242 4242 4242.4242.4242.4242")]
+    got = {r["doc_id"]: [w["s"] for w in r["wide"]] for r in pii.proposals(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: [23], 2: [3], 3: []}
+
+
+def test_redaction(spark):
+    rows = [("x 10.0.0.1 y", [(1, 2, 10)], "x [ip] y"), ("🙂a@b.c🙂", [(0, 1, 6)], "🙂[email]🙂"), ("abcdefgh", [(2, 1, 5), (0, 3, 7), (1, 0, 2)], "[ip]h"), ("ab", [], "ab"), ("", [], ""), (None, [(0, 0, 1)], None), ("ab", [(0, 0, 1), (1, 1, 2)], "[email][ip]")]
+    df = spark.createDataFrame([(i, *r) for i, r in enumerate(rows)], "i int, t string, x array<struct<kind:int,s:int,e:int>>, want string")
+    for r in df.select("want", pii.redact(F.col("t"), F.col("x")).alias("got")).collect():
+        assert r["got"] == r["want"]
 
 
 def test_trees_learn_an_interaction():
