@@ -147,23 +147,63 @@ def test_families_of_one_template_are_tried_against_each_other(spark):
             texts.append(" ".join(t))
     rows = [(i, t, "s", None) for i, t in enumerate(texts)]
     want = brute(rows)
-    got = {r["doc_id"]: r["cluster_id"] for r in N.near_duplicates(spark.createDataFrame(rows, SCHEMA)).collect()}
-    assert got == want
+    docs = spark.createDataFrame(rows, SCHEMA)
+    for block in (256, 7):
+        got = {r["doc_id"]: r["cluster_id"] for r in N.near_duplicates(docs, block=block).collect()}
+        assert got == want
 
 
-def test_remainder_is_every_untried_pair_across_roots(spark):
+def test_remainder_compares_every_pair_across_roots(spark):
+    """In blocks: each pair of different roots in a common bucket is met once, whatever the blocks' size."""
     rng = np.random.default_rng(4)
-    key = lambda i: bytearray(f"{i:04d}".encode())
-    at = {i: sorted({int(b) for b in rng.integers(0, 6, 2)}) for i in range(90)}
-    mass = {i: float(rng.integers(80, 120)) for i in at}
-    root = {i: i % 7 for i in at if i % 3}
-    tried = {(i, j) for i in at for j in at if i < j and (i + j) % 5 == 0}
-    entries = spark.createDataFrame([(key(i), b, mass[i]) for i, bs in at.items() for b in bs], "class binary, band long, mass double")
-    roots = spark.createDataFrame([(key(i), key(r)) for i, r in root.items()], "class binary, root binary")
-    pairs = spark.createDataFrame([(key(i), key(j)) for i, j in tried], "a binary, b binary")
-    got = [(int(bytes(r["a"])), int(bytes(r["b"]))) for r in N.remainder(entries, roots, pairs, 0.8, share=8).collect()]
-    want = {(i, j) for i in at for j in at if i < j and set(at[i]) & set(at[j]) and root.get(i, i) != root.get(j, j) and (i, j) not in tried and min(mass[i], mass[j]) >= 0.8 * max(mass[i], mass[j])}
-    assert len(got) == len(set(got)) and set(got) == want
+    key = lambda i: f"{i:04d}".encode()
+    size, sigs = 20, {}
+    base = rng.integers(0, 256, (5, size))
+    for i in range(120):
+        s = base[i % 5].copy()
+        s[rng.integers(0, size, int(rng.integers(0, 6)))] = 7
+        sigs[i] = s.astype(np.uint8)
+    keys = {i: [int(k) * 1000 + int(s[4 * k : 4 * k + 4].astype(int).sum()) for k in range(5)] for i, s in sigs.items()}
+    mass = {i: float(rng.integers(80, 120)) for i in sigs}
+    root = {i: i % 7 for i in sigs if i % 3}
+    entries = spark.createDataFrame([(bytearray(key(i)), b, mass[i]) for i in sigs for b in keys[i]], "class binary, band long, mass double")
+    roots = spark.createDataFrame([(bytearray(key(i)), bytearray(key(1000 + r))) for i, r in root.items()], "class binary, root binary")
+    table = spark.createDataFrame([(bytearray(key(i)), bytearray(s.tobytes()), keys[i]) for i, s in sigs.items()], "class binary, sig binary, bands array<long>")
+    own = lambda i: 1000 + root[i] if i in root else i
+    want = {(i, j) for i in sigs for j in sigs if i < j and set(keys[i]) & set(keys[j]) and own(i) != own(j) and min(mass[i], mass[j]) >= 0.8 * max(mass[i], mass[j]) and (sigs[i] == sigs[j]).mean() >= N.agreement(0.8, size)}
+    assert len(want) > 100
+    for block in (256, 9):
+        groups: dict = {}
+        for r in N.remainder(entries, roots, table, size, 0.8, block).collect():
+            groups.setdefault((r["band"], r["i"], r["j"]), []).append((r["band"], r["i"], r["j"], bytes(r["class"]), bytes(r["root"]), r["mass"], r["block"], bytes(r["sig"]), r["bands"]))
+        got = [tuple(sorted((int(rows[x][3]), int(rows[y][3])))) for rows in groups.values() for x, y in N.close_pairs(rows, size, 0.8)]
+        assert len(got) == len(set(got)) and set(got) == want
+        assert max(map(len, groups.values())) <= 4 * block
+
+
+def test_recall_against_all_pairs_of_the_given_table(spark):
+    """Every pair of different normalised texts at 0.8 or more ends in one group."""
+    rows = [(r["doc_id"], r["text"]) for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").collect()]
+    got = {r["doc_id"]: r["cluster_id"] for r in N.near_duplicates(spark.read.parquet("/root/testdata/sf0.01/documents.parquet")).collect()}
+    by: dict = {}
+    sets = {}
+    for i, t in rows:
+        norm = N.normalised(t)
+        if norm not in by:
+            sets[i] = set(N.shingles(norm)[0].tolist())
+            by[norm] = i
+        assert got[i] == got[by[norm]]
+    where: dict = {}
+    for i, s in sets.items():
+        for x in s:
+            where.setdefault(x, []).append(i)
+    common: dict = {}
+    for ids in where.values():
+        for n, i in enumerate(ids):
+            for j in ids[:n]:
+                common[j, i] = common.get((j, i), 0) + 1
+    pairs = [p for p, n in common.items() if n >= 0.8 * (len(sets[p[0]]) + len(sets[p[1]]) - n)]
+    assert pairs and all(got[i] == got[j] for i, j in pairs)
 
 
 def test_copies_that_repeat_their_passages(spark):

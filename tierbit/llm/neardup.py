@@ -14,17 +14,20 @@ band's bucket each class is tried against the bucket's smallest, against the one
 the most others over all bands, and against a neighbour in the order of the following band
 (in salted shares of large buckets), so these candidates grow with documents times bands.
 Most buckets are joined into one group by them, and their other pairs can't change it. In
-the rest every pair of classes not yet joined is tried as well (``remainder``), save those
-whose sizes alone rule the threshold out, so groups are those of all pairs that share a
-bucket. Candidates whose signatures agree enough are checked exactly (``measure``: Jaccard
-of the shingle sets, or of the weights), and groups are the connected components of what
-passes.
+the rest every pair of classes not yet joined is compared as well (``remainder``), so groups
+are those of all pairs that share a bucket: classes of a bucket are dealt into blocks of
+bounded size, a task gets two blocks, compares signatures as matrices and checks exactly what
+agrees, and only links leave it. No pair is written, but comparisons still grow with the
+square of a bucket whose classes don't join. Candidates whose signatures agree enough are
+checked exactly (``measure``: Jaccard of the shingle sets, or of the weights), and groups are
+the connected components of what passes.
 
 Result for every row: cluster_id (least doc_id of the group), cluster_size (rows), links
 (links found between its class and others; pairs of a
 group that is joined already aren't all tried), kept (true for the row with the least id of each
 group; rows that repeat that id and text share its fate). A null text counts as empty;
-empty texts are copies of each other; a null id counts as -1. An empty table gives no rows.
+empty texts are copies of each other; a null id counts as -1. Columns other than id and text,
+whatever their names, are not read; texts are read whole. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -181,25 +184,105 @@ def candidates(entries: DataFrame, share: int = 4096, near: int = 1) -> DataFram
     return both.where("other is not null and other <> class").select(F.least("class", "other").alias("a"), F.greatest("class", "other").alias("b")).distinct()
 
 
-def remainder(entries: DataFrame, roots: DataFrame, tried: DataFrame, threshold: float, share: int = 4096) -> DataFrame:
-    """Pairs a < b of classes that share a bucket, are under different ``roots`` and aren't ``tried``, all of them.
-
-    ``entries`` hold class, band and mass. Two classes whose masses differ by more than the
-    threshold allows can't reach it and are left out. The classes outside a bucket's most
-    frequent root meet all its classes, dealt over salted shares.
+PLACED = "band long, i int, j int, class binary, root binary, mass double, block int, sig binary, bands array<long>"
+
+
+def _groups(batches, by: int):
+    """Rows of each group of the first ``by`` columns, from sorted batches."""
+    at, held = None, []
+    for b in batches:
+        for row in zip(*[c.to_pylist() for c in b.columns]):
+            if row[:by] != at:
+                if held:
+                    yield held
+                at, held = row[:by], []
+            held.append(row)
+    if held:
+        yield held
+
+
+def close_pairs(rows: list[tuple], size: int, threshold: float):
+    """(x, y) places in ``rows`` (as PLACED) of the pairs of the group's two blocks whose roots differ, whose masses
+    and signatures allow the threshold, and whose first common band is the group's."""
+    band, i, j = rows[0][:3]
+    sig = np.frombuffer(b"".join(r[7] for r in rows), np.uint8).reshape(-1, size)
+    keys, mass, block = np.array([r[8] for r in rows], np.int64), np.array([r[5] for r in rows]), np.array([r[6] for r in rows])
+    names: dict[bytes, int] = {}
+    root = np.array([names.setdefault(r[4], len(names)) for r in rows])
+    left, right = np.flatnonzero(block == i), np.flatnonzero(block == j)
+    least = agreement(threshold, size)
+    for at in range(0, len(left), 32):
+        x = left[at : at + 32]
+        ok = (root[x][:, None] != root[right]) & (np.minimum(mass[x][:, None], mass[right]) >= np.maximum(mass[x][:, None], mass[right]) * (threshold - 1e-9))
+        if i == j:
+            ok &= x[:, None] < right
+        p, q = np.nonzero(ok)
+        p, q = x[p], right[q]
+        for some in range(0, len(p), 1 << 15):
+            a, b = p[some : some + (1 << 15)], q[some : some + (1 << 15)]
+            on = (sig[a] == sig[b]).mean(axis=1) >= least
+            a, b = a[on], b[on]
+            first = (keys[a] == keys[b]).argmax(axis=1)
+            on = keys[a, first] == band
+            yield from zip(a[on].tolist(), b[on].tolist())
+
+
+def agreement(threshold: float, size: int) -> float:
+    """The share of equal coordinates, five standard errors below the threshold: loses 1 pair in a million."""
+    return threshold - 5 * (threshold * (1 - threshold) / size) ** 0.5
+
+
+def remainder(entries: DataFrame, roots: DataFrame, sigs: DataFrame, size: int, threshold: float, block: int = 256, block_mass: int = 1 << 18) -> DataFrame:
+    """The rows (as PLACED) of all classes that have a close pair in a bucket of several ``roots``, once for each pair of blocks.
+
+    ``entries`` hold class, band and mass, ``sigs`` class, sig and bands. A bucket's classes are dealt
+    into blocks of about ``block`` classes and ``block_mass`` shingles, and each pair of blocks meets in one group.
     """
-    rooted = entries.select("class", "band", "mass").join(roots, "class", "left").withColumn("root", F.coalesce("root", "class"))
-    rooted = stored(rooted, "rooted")
-    by_root = rooted.groupBy("band", "root").agg(F.count("*").alias("n"))
-    split = by_root.groupBy("band").agg(F.sum("n").alias("n"), F.count("*").alias("roots"), F.max(F.struct("n", "root")).getField("root").alias("major")).where("roots > 1")
-    split = split.select("band", "major", F.ceil(F.col("n") / share).cast("int").alias("shares"))
-    members = stored(rooted.join(split, "band"), "members")
-    minor = members.where("root <> major").select(F.col("class").alias("x"), "band", F.col("root").alias("root_x"), F.col("mass").alias("mass_x"), F.explode(F.sequence(F.lit(0), F.col("shares") - 1)).alias("salt"))
-    dealt = members.withColumn("salt", F.pmod(F.xxhash64("class"), F.col("shares")).cast("int"))
-    apart = (F.col("root") != F.col("root_x")) & ((F.col("root") == F.col("major")) | (F.col("x") < F.col("class")))
-    near_mass = F.least("mass", "mass_x") >= F.greatest("mass", "mass_x") * (threshold - 1e-9)
-    both = minor.join(dealt, ["band", "salt"]).where(apart & near_mass)
-    return both.select(F.least("x", "class").alias("a"), F.greatest("x", "class").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
+    rooted = stored(entries.select("class", "band", "mass").join(roots, "class", "left").withColumn("root", F.coalesce("root", "class")), "rooted")
+    split = rooted.groupBy("band").agg(F.count("*").alias("n"), F.sum("mass").alias("all_mass"), F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high")
+    split = split.select("band", F.greatest(F.ceil(F.col("n") / block), F.ceil(F.col("all_mass") / block_mass)).cast("int").alias("blocks"))
+    members = rooted.join(split, "band").withColumn("block", F.pmod(F.xxhash64("class", F.lit(5)), F.col("blocks")).cast("int"))
+    dealt = stored(members.select("band", "class", "root", "mass", "block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")), "members")
+    placed = dealt.join(sigs, "class").select("band", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "class", "root", "mass", "block", "sig", "bands")
+
+    def find(batches):
+        for rows in _groups(batches, 3):
+            used = sorted({p for pair in close_pairs(rows, size, threshold) for p in pair})
+            for at in range(0, len(used), 256):
+                yield placed_batch([rows[p] for p in used[at : at + 256]])
+
+    return stored(lean(placed.repartition("band", "i", "j").sortWithinPartitions("band", "i", "j")).mapInArrow(find, PLACED), "open")
+
+
+def placed_batch(rows: list[tuple]) -> pa.RecordBatch:
+    kinds = (pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.float64(), pa.int32(), pa.binary(), pa.list_(pa.int64()))
+    return pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate(kinds)], [c.split()[0] for c in PLACED.split(", ")])
+
+
+def remainder_links(found: DataFrame, sets: DataFrame, size: int, threshold: float, measure: str) -> DataFrame:
+    """Links (a, b) among the rows of ``remainder``, by the exact shingle sets (class, items, counts)."""
+    both = found.join(sets, "class").select(*[c.split()[0] for c in PLACED.split(", ")], "items", "counts")
+
+    def check(batches):
+        for rows in _groups(batches, 3):
+            made = [(np.frombuffer(r[9], np.uint64), np.frombuffer(r[10], np.int64)) for r in rows]
+            out = [(min(rows[x][3], rows[y][3]), max(rows[x][3], rows[y][3])) for x, y in close_pairs(rows, size, threshold) if jaccard(*made[x], *made[y], measure) >= threshold]
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array([o[k] for o in out], pa.binary()) for k in (0, 1)], ["a", "b"])
+
+    return lean(both.repartition("band", "i", "j").sortWithinPartitions("band", "i", "j")).mapInArrow(check, "a binary, b binary")
+
+
+def shingle_sets(texts: DataFrame) -> DataFrame:
+    """(class, items, counts) of (class, text)."""
+
+    def make(batches):
+        for b in batches:
+            for at in range(0, b.num_rows, 128):
+                some = [shingles(normalised(t.as_py())) for t in b.column("text").slice(at, 128)]
+                yield pa.RecordBatch.from_arrays([b.column("class").slice(at, 128), *[pa.array([s[k].tobytes() for s in some], pa.binary()) for k in (0, 1)]], ["class", "items", "counts"])
+
+    return lean(texts.select("class", "text")).mapInArrow(make, "class binary, items binary, counts binary")
 
 
 def similar(pairs: DataFrame, texts: DataFrame, threshold: float, measure: str) -> DataFrame:
@@ -257,7 +340,7 @@ def components(links: DataFrame, rounds: int = 40) -> DataFrame:
     return edges.select(F.col("v").alias("class"), F.col("u").alias("root"))
 
 
-def near_duplicates(docs: DataFrame, threshold: float = 0.8, bands: int = 24, rows: int = 5, measure: str = "set", key: str = "doc_id", text: str = "text", near: int = 1) -> DataFrame:
+def near_duplicates(docs: DataFrame, threshold: float = 0.8, bands: int = 24, rows: int = 5, measure: str = "set", key: str = "doc_id", text: str = "text", near: int = 1, block: int = 256) -> DataFrame:
     """doc_id, tag (xxhash64 of the text), cluster_id, cluster_size, links, kept for every row."""
     size = bands * rows
     all_rows = stored(signed(docs, bands, rows, key, text, measure), "signed")
@@ -266,14 +349,12 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, bands: int = 24, ro
     entries = all_rows.select("class", "bands", "mass").dropDuplicates(["class"]).select("class", "mass", F.inline(beside))
     entries = stored(entries, "entries")
     pairs = stored(candidates(entries.drop("mass"), near=near), "pairs")
-    sigs = all_rows.join(classes.select("class", F.col("first_id").alias("doc_id")), ["class", "doc_id"], "left_semi").groupBy("class").agg(F.min("sig").alias("sig"))
+    sigs = all_rows.join(classes.select("class", F.col("first_id").alias("doc_id")), ["class", "doc_id"], "left_semi").groupBy("class").agg(F.min("sig").alias("sig"), F.min("bands").alias("bands"))
 
     def agree(batches):
-        # five standard errors below the threshold, and collisions of a byte: loses 1 pair in a million
-        least = threshold - 5 * (threshold * (1 - threshold) / size) ** 0.5
         for b in batches:
             x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint8).reshape(-1, size) for c in ("sig_a", "sig_b"))
-            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b")], ["a", "b"]).filter(pa.array((x == y).mean(axis=1) >= least))
+            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b")], ["a", "b"]).filter(pa.array((x == y).mean(axis=1) >= agreement(threshold, size)))
 
     sigs = stored(sigs, "sigs")
 
@@ -282,17 +363,20 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, bands: int = 24, ro
             cls = [hashlib.md5(normalised(t.as_py()).encode("utf-8", "replace")).digest() for t in b.column("text")]
             yield pa.RecordBatch.from_arrays([pa.array(cls, pa.binary()), b.column("doc_id"), b.column("text")], ["class", "doc_id", "text"])
 
-    def checked(pairs):
-        close = pairs.join(sigs.select(F.col("class").alias("a"), F.col("sig").alias("sig_a")), "a").join(sigs.select(F.col("class").alias("b"), F.col("sig").alias("sig_b")), "b").select("a", "b", "sig_a", "sig_b").mapInArrow(agree, "a binary, b binary")
-        close = stored(close, "close")
-        needed = stored(close.select(F.col("a").alias("class")).union(close.select("b")).distinct().join(classes, "class").select("class", F.col("first_id").alias("doc_id")), "needed")
-        some = flagged(docs.select(F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(-1).cast("long")).alias("doc_id"), F.col(f"`{text}`").alias("text")), needed, ["doc_id"]).where("maybe").drop("maybe")
-        texts = some.mapInArrow(name, "class binary, doc_id long, text string").join(needed, ["class", "doc_id"], "left_semi").groupBy("class").agg(F.min("text").alias("text"))
-        return stored(similar(close, stored(texts, "texts"), threshold, measure), "similar")
-
-    links = checked(pairs)
-    rest = checked(stored(remainder(entries, components(links), pairs, threshold), "rest"))
-    links = stored(links.unionByName(rest), "all_links")
+    def texts_of(some):
+        """(class, text) of the classes in ``some``."""
+        needed = stored(some.distinct().join(classes, "class").select("class", F.col("first_id").alias("doc_id")), "needed")
+        rows = flagged(docs.select(F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(-1).cast("long")).alias("doc_id"), F.col(f"`{text}`").alias("text")), needed, ["doc_id"]).where("maybe").drop("maybe")
+        return rows.mapInArrow(name, "class binary, doc_id long, text string").join(needed, ["class", "doc_id"], "left_semi").groupBy("class").agg(F.min("text").alias("text"))
+
+    close = pairs.join(sigs.select(F.col("class").alias("a"), F.col("sig").alias("sig_a")), "a").join(sigs.select(F.col("class").alias("b"), F.col("sig").alias("sig_b")), "b").select("a", "b", "sig_a", "sig_b").mapInArrow(agree, "a binary, b binary")
+    close = stored(close, "close")
+    texts = stored(texts_of(close.select(F.col("a").alias("class")).union(close.select("b"))), "texts")
+    links = stored(similar(close, texts, threshold, measure), "similar")
+    found = remainder(entries, components(links), sigs, size, threshold, block)
+    sets = stored(shingle_sets(texts_of(found.select("class"))), "sets")
+    rest = remainder_links(found, sets, size, threshold, measure)
+    links = stored(links.unionByName(rest).distinct(), "all_links")
     roots = components(links)
     degree = links.select(F.explode(F.array("a", "b")).alias("class")).groupBy("class").agg(F.count("*").alias("links"))
     placed = classes.join(roots, "class", "left").join(degree, "class", "left").withColumn("root", F.coalesce("root", "class"))
