@@ -11,8 +11,11 @@ at 1 and c is solved again for the rest, so a scarce cell may fall short.
 Default targets flatten the present shares (share ** power, rescaled). Chance comes from
 an MD5 of seed and id, so a retried task samples the same rows, and rows that repeat an id
 share its fate. Only cell totals reach the driver, and only up to ``max_cells``; beyond,
-the same raking runs as joins and sums of the cell table. Nulls in a grouping column are
-the group ``<null>``; a null text has one token; an empty table gives no rows.
+the same raking and the same c come from joins and sums of the cell table (results agree to
+rounding). Nulls in a grouping column are the group ``<null>``; a null text has one token;
+texts are read whole; input columns named like the result's (``topic``, ``tokens``,
+``factor``, ``prob``, ``copies``) are not read, and ``carry`` returns them inside ``row``; an
+empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -117,6 +120,21 @@ def calibrate(tokens: list[float], factors: list[float], mix: Mix) -> float:
     return c
 
 
+def _calibrate_frames(cells: DataFrame, mix: Mix) -> float:
+    """The same c over a table of cells: it rises as cells reach probability 1, until no other does."""
+    total, mass = cells.agg(F.sum("tokens"), F.sum(F.col("tokens") * F.col("factor"))).first()
+    goal = mix.budget * total
+    c = goal / max(1e-300, mass)
+    while not mix.repeats:
+        cut = F.col("factor") * c >= 1
+        whole, rest = cells.agg(F.coalesce(F.sum(F.when(cut, F.col("tokens"))), F.lit(0)), F.coalesce(F.sum(F.when(~cut, F.col("tokens") * F.col("factor"))), F.lit(0.0))).first()
+        higher = (goal - whole) / rest if rest > 0 else c
+        if higher <= c * (1 + 1e-14):
+            break
+        c = higher
+    return c
+
+
 def chance(seed: int, key: str = "doc_id") -> Column:
     """Uniform in [0, 1) from the MD5 of seed and id."""
     digest = F.md5(F.concat_ws(":", F.lit(seed), F.coalesce(F.col(key).cast("string"), F.lit("null"))).cast("binary"))
@@ -139,8 +157,7 @@ def mixed(docs: DataFrame, mix: Mix | None = None, key: str = "doc_id", text: st
         priced = spark.createDataFrame([(*x[:3], f) for x, f in zip(held, factors)], "source string, lang string, topic string, factor double")
     else:
         priced = stored(_rake_frames(cells, mix), "factors")
-        bins = priced.groupBy(F.round(F.log2(F.greatest("factor", F.lit(1e-300))) * 4096).alias("bin")).agg(F.sum("tokens").alias("t"), (F.sum(F.col("tokens") * F.col("factor")) / F.sum("tokens")).alias("f")).collect()
-        c = calibrate([float(b["t"]) for b in bins], [b["f"] for b in bins], mix)
+        c = _calibrate_frames(priced, mix)
         priced = priced.select(*DIMS, "factor")
     p = F.col("factor") * c
     out = rows.join(F.broadcast(priced) if n <= 10_000 else priced, DIMS).withColumn("prob", p if mix.repeats else F.least(p, F.lit(1.0)))

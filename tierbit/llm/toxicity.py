@@ -11,8 +11,10 @@ calibration parameters turn its margin into a probability.
 
 The labelled sample is bounded (``per_class`` rows of either label); vote patterns count
 all documents and are at most 2 ** voters. Texts are read whole. A null text is empty and
-gets a score like any other; conflicting labels of one id count as toxic; with no labelled
-rows of both classes every score is 0. An empty table gives no rows.
+gets a score like any other; conflicting labels of one id count as toxic; of several texts
+of one labelled id the greatest teaches; columns other than id and text, whatever their
+names, are not read; with no labelled rows of both classes every score is 0. An empty table
+gives no rows.
 """
 
 from __future__ import annotations
@@ -239,7 +241,7 @@ def fit(docs: DataFrame, labels: DataFrame, learnable: Column, per_class: int =
         return None
     chance = F.pmod(F.xxhash64(F.lit(11), "doc_id"), F.lit(1 << 30)) / float(1 << 30)
     chosen = ids.where((F.col("y").isin(0, 1)) & (chance < F.when(F.col("y") == 1, 1.2 * per_class / counts[1]).otherwise(1.2 * per_class / counts[0]))).limit(4 * per_class)
-    sample = docs.select(F.col(f"`{key}`").alias("doc_id"), F.col(f"`{text}`").alias("text")).join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"]).collect()
+    sample = docs.select(F.col(f"`{key}`").alias("doc_id"), F.col(f"`{text}`").alias("text")).join(F.broadcast(chosen), "doc_id").groupBy("doc_id").agg(F.max("text").alias("text"), F.max("y").alias("y")).collect()
     sample = sorted(((r["doc_id"], r["text"] or "", int(r["y"])) for r in sample), key=lambda r: r[0])
     if len({r[2] for r in sample}) < 2:
         return None
