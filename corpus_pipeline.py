@@ -1,8 +1,9 @@
 """A corpus pipeline over documents: language, exact copies, near copies, mixing, packing.
 
 Every stage takes (spark, docs, sf_dir) and reads all that its predecessor kept. All but
-the last return the columns of documents. Rows may hold nulls anywhere; rows that repeat
-both id and text share their fate in each stage; an empty table passes through.
+the last return the columns of documents. Rows may hold nulls anywhere; of rows that
+repeat a text one passes the second stage; texts are read whole; columns of any other names
+pass as they are; an empty table passes through.
 """
 
 from __future__ import annotations
@@ -25,9 +26,8 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of equal texts the row with the largest doc_id stays."""
-    gone = exactdedup.exact_dedup(docs).where("not kept")
-    return drop_rows(docs, gone.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-1).cast("long")).alias("doc_id"), "tag"))
+    """Of equal texts the row with the largest doc_id stays, one of rows that repeat it."""
+    return exactdedup.survivors(docs)
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
