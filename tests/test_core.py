@@ -283,6 +283,71 @@ def test_baselines_agree_and_costs_grow_as_described(spark):
     assert one["keys"] == bulk["keys"] == 100 and bulk["node_visits"] < one["node_visits"] and one["splits"] > 0
 
 
+def test_annotated_tree_finds_and_renews(spark):
+    e = L.events(spark, SF)
+    cols = ["event_id", "user_id"]
+    index = baselines.HashAnnotatedIndex(e, "user_id", cols, 16)
+    want = pos(e.where("user_id between 3 and 5 and pos >= 100").select("pos"))
+    assert pos(index.search_between(3, 5, 100)) == want
+    root = index.nodes.where(F.col("level") == index.height - 1).collect()
+    assert len(root) == 1
+    changed = baselines.HashAnnotatedIndex(e.withColumn("user_id", F.col("user_id") + 0).withColumn("value", F.col("value") + 1), "user_id", [*cols, "value"], 16)
+    assert changed.nodes.where(F.col("level") == index.height - 1).first()["hash"] != root[0]["hash"]
+    old = baselines.HashAnnotatedIndex(e.where("pos < 900"), "user_id", cols, 16)
+    renewed = {r["level"]: r["nodes"] for r in old.rehashed(e.where("pos >= 900")).collect()}
+    assert renewed[old.height - 1] == 1 and 1 <= renewed[0] <= 100
+    assert old.size().first()[0] < index.size().first()[0]
+
+
+def test_composite_index_seeks(spark):
+    e = L.events(spark, SF)
+    index = baselines.CompositeIndex(e, "user_id", 64)
+    assert index.seek(640) == 10 and index.seek(700) == 10 and index.seek(0) == 0
+    assert pos(index.search("key = 7", 700)) == pos(e.where("user_id = 7 and pos >= 700").select("pos"))
+    assert index.cost("key = 7", 700).first()["scanned"] == 1000 - 640
+
+
+def test_skip_list_walk_is_short(spark):
+    index = baselines.SkipIndex(L.events(spark, SF), "user_id")
+    hops = sum(r["hops"] for r in index.hops(900).collect())
+    assert 1 <= hops < 60 and pos(index.search("key = 7", 900)) == pos(L.events(spark, SF).where("user_id = 7 and pos >= 900").select("pos"))
+
+
+def test_hash_tree_in_passes_equals_pairwise_hashing(spark):
+    import hashlib
+
+    for n, step in ((1, 10), (13, 2), (1000, 10), (1000, 3)):
+        leaves = [hashlib.sha256(str(i).encode()).hexdigest() for i in range(n)]
+        want, level = {(0, i): h for i, h in enumerate(leaves)}, leaves
+        for up in range(1, merkle.levels_of(n) + 1):
+            level = [level[i] if i + 1 == len(level) else hashlib.sha256(bytes.fromhex(level[i] + level[i + 1])).hexdigest() for i in range(0, len(level), 2)]
+            want |= {(up, i): h for i, h in enumerate(level)}
+        got = merkle.build(spark.createDataFrame(list(enumerate(leaves)), "pos long, digest string"), n, step)
+        assert {(r["level"], r["idx"]): r["hash"] for r in got.collect()} == want
+
+
+def test_streamed_batches_append_and_replays_change_nothing(spark):
+    from tierbit.streaming import streams
+
+    e = L.events(spark, SF)
+    path = streams.split_files(e, 3)
+    got = streams.index_stream(spark, path, e.schema, L.DIMS["E"], SMALL)
+    want = build.keyed(L.extract(e, L.DIMS["E"]), SMALL).select(got.columns)
+    assert got.exceptAll(want).count() == want.exceptAll(got).count() == 0
+
+
+def test_kept_index_is_built_once_and_again_if_gone(spark):
+    import shutil
+
+    from tierbit.catalog import kept
+
+    one = kept.keeper(spark, SF, "E")
+    assert kept.keeper(spark, SF, "E") is one and one.manifest.n_records == 1000
+    shutil.rmtree(one.path.removeprefix("file://"))
+    again = kept.keeper(spark, SF, "E")
+    assert again is not one and again.index().count() > 0
+
+
 def test_skip_list_path_descends(spark):
     path = baselines.SkipIndex(L.events(spark, SF), "user_id").seek(500).collect()
     assert path[-1]["on"] == 0 and path[-1]["pos"] == 499 and [r["pos"] for r in path] == sorted(r["pos"] for r in path)

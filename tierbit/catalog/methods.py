@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import datetime
+from functools import reduce
 
 from pyspark.sql import functions as F
 
@@ -332,9 +333,9 @@ def c14_bounds(spark, sf):
 # resumable search
 
 
-@query("SELECT event_id AS pos, CAST(user_id AS INTEGER) AS query_id, event_id AS stop FROM events WHERE user_id < 100")
+@query("SELECT event_id AS pos, CAST(user_id AS INTEGER) AS query_id, event_id AS stop FROM events")
 def r1_tokens(spark, sf):
-    t = L.events(spark, sf).where("user_id < 100").select("pos", F.expr(f"shiftleft(user_id, {resume.POS_BITS}) | pos").alias("token"))
+    t = L.events(spark, sf).select("pos", F.expr(f"shiftleft(user_id, {resume.POS_BITS}) | pos").alias("token"))
     q, stop = resume.token_columns("token")
     return t.select("pos", q.alias("query_id"), stop.alias("stop"))
 
@@ -399,14 +400,14 @@ def r8_restart(spark, sf):
 # verification
 
 for _k in (32, 36, 64, 100, 128):
-    query(f"WITH d AS (SELECT event_id AS pos, {S.digest(E_COLS)} AS digest FROM events WHERE event_id < 400), c AS MATERIALIZED (SELECT pos, {S.code('digest', _k, R)} AS x FROM d) SELECT pos, {S.limbs('x')} FROM c", name=f"v1_codes_{_k}")(
-        lambda spark, sf, k=_k: verify.with_codes(L.with_digest(L.events(spark, sf).where("event_id < 400"), E_COLS), k, R).select("pos", "code_hi", "code_lo")
+    query(f"WITH d AS (SELECT event_id AS pos, {S.digest(E_COLS)} AS digest FROM events), c AS MATERIALIZED (SELECT pos, {S.code('digest', _k, R)} AS x FROM d) SELECT pos, {S.limbs('x')} FROM c", name=f"v1_codes_{_k}")(
+        lambda spark, sf, k=_k: verify.with_codes(L.with_digest(L.events(spark, sf), E_COLS), k, R).select("pos", "code_hi", "code_lo")
     )
 
 
-@query(f"WITH d AS (SELECT event_id AS pos, {S.digest(E_COLS)} AS digest FROM events WHERE event_id < 400), c AS MATERIALIZED (SELECT pos, {S.code('digest', 32, 0xEDB88320)} AS x FROM d) SELECT pos, CAST(x AS BIGINT) AS code FROM c")
+@query(f"WITH d AS (SELECT event_id AS pos, {S.digest(E_COLS)} AS digest FROM events), c AS MATERIALIZED (SELECT pos, {S.code('digest', 32, 0xEDB88320)} AS x FROM d) SELECT pos, CAST(x AS BIGINT) AS code FROM c")
 def v2_standard_crc(spark, sf):
-    return L.with_digest(L.events(spark, sf).where("event_id < 400"), E_COLS).select("pos", F.crc32(F.unhex("digest")).alias("code"))
+    return L.with_digest(L.events(spark, sf), E_COLS).select("pos", F.crc32(F.unhex("digest")).alias("code"))
 
 
 @query("SELECT * FROM (VALUES (1, 32), (10, 32), (100, 32), (1000, 32), (10000, 36), (100000, 40)) t(n, k)")
@@ -463,30 +464,41 @@ def v10_faults(spark, sf):
 
 @query("SELECT CAST(0 AS INTEGER) AS replica, count(*) AS n, CAST(3 AS BIGINT) AS votes FROM events WHERE user_id = 7")
 def v11_agreement(spark, sf):
-    found = search.search_keyed(masks(spark, sf, "E"), All(U7), PAPER)
-    good = found.select(F.explode(F.sequence(F.lit(0), F.lit(2))).alias("replica"), "pos")
-    return verify.agree(good.union(found.where("pos % 2 = 0").select(F.lit(3).alias("replica"), "pos")))
+    """Four replicas, each with an index and a search of its own; the last one loses every other record."""
+    runs = []
+    for replica in range(4):
+        own = pf(spark, sf, "E", ["user_id"])
+        found = search.search_keyed(build.keyed(own if replica < 3 else own.where("pos % 2 = 0"), PAPER), All(U7), PAPER)
+        runs.append(found.select(F.lit(replica).alias("replica"), "pos"))
+    return verify.agree(reduce(lambda a, b: a.unionByName(b), runs))
 
 
-def _merkle_sql(n: int, out: str) -> str:
-    ctes = [f"t0 AS MATERIALIZED (SELECT event_id AS idx, {S.digest(E_COLS)} AS hash FROM events WHERE event_id < {n})"]
-    for i in range(1, merkle.levels_of(n) + 1):
-        ctes.append(f"t{i} AS MATERIALIZED (SELECT idx // 2 AS idx, CASE WHEN count(*) = 1 THEN max(hash) ELSE sha256(unhex(max(hash) FILTER (idx % 2 = 0) || max(hash) FILTER (idx % 2 = 1))) END AS hash FROM t{i - 1} GROUP BY idx // 2)")
-    return "WITH " + ", ".join(ctes) + " " + out.replace("ALL", " UNION ALL ".join(f"SELECT CAST({i} AS INTEGER) AS level, idx, hash FROM t{i}" for i in range(merkle.levels_of(n) + 1)))
+MOST_LEVELS = 24
 
 
-@query(_merkle_sql(500, "ALL"))
+def _merkle_sql(out: str, rows: str = "events") -> str:
+    """CTEs t0, t1, ... of a hash tree's levels, empty above the root; @all in ``out`` stands for their union."""
+    ctes = [f"t0 AS MATERIALIZED (SELECT row_number() OVER (ORDER BY event_id) - 1 AS idx, {S.digest(E_COLS)} AS hash FROM {rows})"]
+    for i in range(1, MOST_LEVELS + 1):
+        ctes.append(f"t{i} AS MATERIALIZED (SELECT idx // 2 AS idx, CASE WHEN count(*) = 1 THEN max(hash) ELSE sha256(unhex(max(hash) FILTER (idx % 2 = 0) || max(hash) FILTER (idx % 2 = 1))) END AS hash FROM t{i - 1} WHERE (SELECT count(*) FROM t{i - 1}) > 1 GROUP BY idx // 2)")
+    return "WITH " + ", ".join(ctes) + " " + out.replace("@all", " UNION ALL ".join(f"SELECT CAST({i} AS INTEGER) AS level, idx, hash FROM t{i}" for i in range(MOST_LEVELS + 1)))
+
+
+@query(_merkle_sql("@all"))
 def v12_hash_tree(spark, sf):
-    return merkle.build(L.split_roles(L.events(spark, sf).where("event_id < 500"), E_COLS)[1], 500)
+    return merkle.build(L.split_roles(L.events(spark, sf), E_COLS)[1], _n(spark, sf))
 
 
-@query("SELECT CAST(9 AS INTEGER) AS siblings, true AS holds, false AS forged_holds")
+@query(_merkle_sql(" UNION ALL ".join(f"SELECT CAST({i} AS INTEGER) AS level, hash AS sibling, true AS holds, false AS forged_holds FROM t{i} WHERE idx = xor(123 >> {i}, 1)" for i in range(MOST_LEVELS + 1))))
 def v12_proof(spark, sf):
-    tree = storage.stored(v12_hash_tree(spark, sf), "tree")
+    """The siblings that prove record 123, and whether the record and a forged one check out with them."""
+    n, tree = _n(spark, sf), v12_hash_tree(spark, sf)
     leaf = tree.where("level = 0 and idx = 123").first()["hash"]
-    root = tree.where(f"level = {merkle.levels_of(500)}").first()["hash"]
-    path = merkle.proof(tree, 123, 500)
-    return spark.createDataFrame([(len(path), merkle.check(leaf, path, root), merkle.check("00" * 32, path, root))], "siblings int, holds boolean, forged_holds boolean")
+    root = tree.where(f"level = {merkle.levels_of(n)}").first()["hash"]
+    path = merkle.proof(tree, 123, n)
+    holds, forged = merkle.check(leaf, path, root), merkle.check("00" * 32, path, root)
+    levels = [i for i in range(merkle.levels_of(n)) if tree.where(f"level = {i} and idx = {(123 >> i) ^ 1}").count()]
+    return spark.createDataFrame([(i, h, holds, forged) for i, (_, h) in zip(levels, path)], "level int, sibling string, holds boolean, forged_holds boolean")
 
 
 @query("SELECT true AS holds, false AS forged_holds")
@@ -497,12 +509,17 @@ def v13_vector_commitment(spark, sf):
     return spark.createDataFrame([(c.verify(c.commitment, c.secret, 5, v, w), c.verify(c.commitment, c.secret, 5, v + 1, w))], "holds boolean, forged_holds boolean")
 
 
-@query(f"SELECT count(*) FILTER (NOT ({PICK.format(10)})) AS fine_accepted, CAST(0 AS BIGINT) AS coarse_accepted, count(*) AS n FROM events WHERE user_id = 7")
+@query(f"SELECT CAST(rate AS INTEGER) AS rate, count(*) FILTER ((event_id * 7919) % 100 >= rate) AS fine_accepted, CASE WHEN count(*) FILTER ((event_id * 7919) % 100 < rate) = 0 THEN count(*) ELSE 0 END AS coarse_accepted, count(*) AS n FROM events, (VALUES (0), (10)) v(rate) WHERE user_id = 7 GROUP BY rate")
 def v14_fine_or_coarse(spark, sf):
+    """Codes accept what is right; one root over the whole answer accepts all of it or nothing."""
     rows, vo = _answer(spark, sf)
-    hide = verify.inject(rows, "B2", 10, "value")
-    ok = verify.compare(vo, hide, E_COLS).agg(F.count_if(F.col("state") == "accepted").alias("fine_accepted"), F.count_if(F.col("state") == "missing").alias("lost"))
-    return ok.select("fine_accepted", F.when(F.col("lost") == 0, F.col("fine_accepted")).otherwise(0).cast("long").alias("coarse_accepted"), (F.col("fine_accepted") + F.col("lost")).alias("n"))
+    rows = storage.stored(rows, "rows")
+    out = []
+    for rate in (0, 10):
+        given = verify.inject(rows, "B2", rate, "value")
+        fine = verify.compare(vo, given, E_COLS).agg(F.count_if(F.col("state") == "accepted")).first()[0]
+        out.append((rate, fine, verify.coarse(rows, given, E_COLS), rows.count()))
+    return spark.createDataFrame(out, "rate int, fine_accepted long, coarse_accepted long, n long")
 
 
 # baselines
@@ -557,9 +574,51 @@ def k4_composite_resume(spark, sf):
     return B.CompositeIndex(L.events(spark, sf), "user_id").search("key = 7", 9 * _n(spark, sf) // 10)
 
 
-@query("SELECT CASE WHEN count(*) <= 256 THEN 1 WHEN count(*) <= 65536 THEN 2 ELSE 3 END AS hashes_per_insert FROM events")
+@query("SELECT count(*) FILTER (user_id = 7 AND event_id >= a) AS hits, count(*) AS scanned, count(DISTINCT event_id // 256) AS leaves FROM events, (SELECT 9 * (max(event_id) + 1) // 10 AS a FROM events) WHERE event_id // 256 >= a // 256")
+def k4_composite_cost(spark, sf):
+    return B.CompositeIndex(L.events(spark, sf), "user_id").cost("key = 7", 9 * _n(spark, sf) // 10)
+
+
+def _annotated(spark, sf, part=1.0):
+    e = L.events(spark, sf)
+    return B.HashAnnotatedIndex(e if part == 1.0 else e.where(F.col("pos") < int(part * 100) * _n(spark, sf) // 100), "user_id", E_COLS, 64)
+
+
+_LEVELS = [f"l0 AS MATERIALIZED (SELECT nth // 64 AS node, min(key) AS low, max(key) AS high, count(*) AS children, sha256(string_agg(key || '|' || pos || '|' || digest, ';' ORDER BY nth)) AS hash FROM (SELECT row_number() OVER (ORDER BY user_id, event_id) - 1 AS nth, user_id AS key, event_id AS pos, {S.digest(E_COLS)} AS digest FROM events) GROUP BY 1)"]
+_LEVELS += [f"l{i} AS MATERIALIZED (SELECT node // 64 AS node, min(low) AS low, max(high) AS high, count(*) AS children, sha256(string_agg(hash, ';' ORDER BY node)) AS hash FROM l{i - 1} WHERE (SELECT count(*) FROM l{i - 1}) > 1 GROUP BY 1)" for i in range(1, 6)]
+NODES = "WITH " + ", ".join(_LEVELS) + ", nodes AS (" + " UNION ALL ".join(f"SELECT CAST({i} AS INTEGER) AS level, node, low, high, children, hash FROM l{i}" for i in range(6)) + ") "
+
+
+@query(NODES + "SELECT * FROM nodes")
+def k5_node_digests(spark, sf):
+    return _annotated(spark, sf).nodes
+
+
+@query(FIND_E + "user_id = 7")
 def k5_hash_annotated(spark, sf):
-    return spark.createDataFrame([(B.OrderedIndex(L.events(spark, sf), "pos").hashes_per_insert(),)], "hashes_per_insert int")
+    """A search down the annotated tree."""
+    return _annotated(spark, sf).search_between(7, 7)
+
+
+@query(FIND_E + "user_id = 7 AND event_id >= 9 * (SELECT max(event_id) + 1 FROM events) // 10")
+def k5_resume(spark, sf):
+    return _annotated(spark, sf).search_between(7, 7, 9 * _n(spark, sf) // 10)
+
+
+@query(NODES + "SELECT level, count(*) AS nodes FROM nodes WHERE low <= 7 AND high >= 7 GROUP BY level")
+def k5_path(spark, sf):
+    return _annotated(spark, sf).path(7, 7).groupBy("level").agg(F.count("*").alias("nodes"))
+
+
+@query(INSERT.format("0").replace("256", "64").split(", a AS (SELECT")[0] + ", h AS (SELECT CASE WHEN c <= 64 THEN 1 WHEN c <= 4096 THEN 2 WHEN c <= 262144 THEN 3 ELSE 4 END AS h FROM n) SELECT CAST(i AS INTEGER) AS level, count(DISTINCT CAST(leaf AS BIGINT) // CAST(pow(64, i) AS BIGINT)) AS nodes FROM p, h, range(0, 4) t(i) WHERE i < h GROUP BY i")
+def k5_rehashed(spark, sf):
+    """Digests that inserting the last hundredth renews, by level."""
+    return _annotated(spark, sf, 0.99).rehashed(L.events(spark, sf).where(F.col("pos") >= 99 * _n(spark, sf) // 100))
+
+
+@query(NODES + "SELECT CAST((SELECT count(*) FROM events) * 48 + (SELECT count(*) FROM nodes) * 48 AS BIGINT) AS bytes")
+def k5_size(spark, sf):
+    return _annotated(spark, sf).size()
 
 
 @query("SELECT event_id AS pos FROM events WHERE user_id = 7 AND event_id >= 9 * (SELECT max(event_id) + 1 FROM events) // 10")
@@ -567,11 +626,26 @@ def k6_skip_list_resume(spark, sf):
     return B.SkipIndex(L.events(spark, sf), "user_id").search("key = 7", 9 * _n(spark, sf) // 10)
 
 
-@query(None)
+TOWERS = "WITH s AS (SELECT event_id AS pos, CAST('0x' || substr(md5(CAST(event_id AS VARCHAR)), 1, 8) AS BIGINT) AS m FROM events), v AS (SELECT pos, CASE WHEN m = 0 THEN 20 ELSE least(20, CAST(log2(m & -m) AS INTEGER)) END AS level FROM s)"
+SEEK = TOWERS + ', w AS (SELECT i, pos FROM v, range(0, 21) t(i) WHERE pos < 900 AND i <= level), path AS (SELECT i, max(pos) AS pos FROM w GROUP BY i)'
+
+
+@query(SEEK + ' SELECT CAST(i AS INTEGER) AS "on", pos FROM path')
 def k6_skip_list_seek(spark, sf):
     return B.SkipIndex(L.events(spark, sf), "user_id").seek(900)
 
 
+@query(SEEK + ', entered AS (SELECT i, coalesce(max(pos) OVER (ORDER BY i DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), -1) AS e FROM path) SELECT CAST(w.i AS INTEGER) AS "on", count(*) AS hops FROM w JOIN entered ON w.i = entered.i WHERE pos > e GROUP BY w.i')
+def k6_hops(spark, sf):
+    return B.SkipIndex(L.events(spark, sf), "user_id").hops(900)
+
+
+@query(TOWERS + " SELECT count(*) AS keys, CAST(sum(level + 1) AS BIGINT) AS pointers FROM v WHERE pos >= 99 * (SELECT max(event_id) + 1 FROM events) // 100")
+def k6_insert_cost(spark, sf):
+    e = L.events(spark, sf)
+    return B.SkipIndex(e, "user_id").insert_cost(e.where(F.col("pos") >= 99 * _n(spark, sf) // 100))
+
+
 @query("SELECT user_id AS key, event_id AS pos, lag(event_id) OVER (ORDER BY event_id) AS before FROM events WHERE user_id = 7")
 def k6a_trace(spark, sf):
     return B.SkipIndex(L.events(spark, sf), "user_id").trace("key = 7")
@@ -588,11 +662,14 @@ def k10_fixed_widths(spark, sf):
     return spark.createDataFrame([tuple(verify.vo_bytes(n, k) for k in (32, 64, 128, None))], "bytes_32 long, bytes_64 long, bytes_128 long, bytes_raw long")
 
 
-@query("SELECT n * 32 * CAST(ceil(log2(t)) AS BIGINT) AS proof_bytes, n * 4 AS code_bytes FROM (SELECT count(*) FILTER (user_id = 7) AS n, count(*) AS t FROM events)")
+@query(f"SELECT n * 32 * CAST(ceil(log2(t)) AS BIGINT) AS proof_bytes, n * 4 AS code_bytes, CASE WHEN hidden = 0 THEN n ELSE 0 END AS accepted FROM (SELECT count(*) FILTER (user_id = 7) AS n, count(*) FILTER (user_id = 7 AND {PICK.format(10)}) AS hidden, count(*) AS t FROM events)")
 def k11_coarse_proofs(spark, sf):
+    """Bytes of a proof per record against those of codes, and what a comparison of roots accepts of an answer with hidden records."""
     e = L.events(spark, sf)
-    n, total = e.where("user_id = 7").count(), e.count()
-    return spark.createDataFrame([(n * merkle.proof_bytes(total), verify.vo_bytes(n, 32))], "proof_bytes long, code_bytes long")
+    own = storage.stored(e.where("user_id = 7").select("pos", *E_COLS), "rows")
+    n, total = own.count(), e.count()
+    accepted = verify.coarse(own, verify.inject(own, "B2", 10, "value"), E_COLS)
+    return spark.createDataFrame([(n * merkle.proof_bytes(total), verify.vo_bytes(n, 32), accepted)], "proof_bytes long, code_bytes long, accepted long")
 
 
 @query("SELECT CAST(3 AS BIGINT) AS chain_calls_each_time, CAST(1 AS BIGINT) AS chain_calls_reused")

@@ -153,11 +153,11 @@ def join_range_segments(spark, sf):
     return e.join(seg, "bucket").where("pos between first and last").groupBy("segment").agg(F.count("*").alias("n"))
 
 
-@query("SELECT a.event_id, max(b.event_id) AS token FROM events a JOIN events b ON a.user_id = b.user_id AND b.event_type = 'purchase' AND b.event_id <= a.event_id WHERE a.user_id < 50 GROUP BY a.event_id")
+@query("SELECT a.event_id, max(b.event_id) AS token FROM events a JOIN events b ON a.user_id = b.user_id AND b.event_type = 'purchase' AND b.event_id <= a.event_id GROUP BY a.event_id")
 def join_asof_token(spark, sf):
     """The last purchase of the same user up to each event: a running maximum, not a range join."""
     upto = W.partitionBy("user_id").orderBy("event_id").rowsBetween(W.unboundedPreceding, 0)
-    e = t(spark, sf, "events").where("user_id < 50")
+    e = t(spark, sf, "events")
     return e.select("event_id", F.max(F.when(F.col("event_type") == "purchase", F.col("event_id"))).over(upto).alias("token")).where("token is not null")
 
 
@@ -370,9 +370,9 @@ def cte_levels(spark, sf):
     return spark.sql("WITH leaf AS (SELECT event_id div 32 AS node, count(*) AS n FROM events WHERE user_id = 7 GROUP BY 1), middle AS (SELECT node div 32 AS node, count(*) AS leaves FROM leaf GROUP BY 1) SELECT node div 32 AS root, sum(leaves) AS leaves, count(*) AS middles FROM middle GROUP BY 1")
 
 
-@query(f"WITH d AS (SELECT event_id AS pos, {S.digest(E_COLS)} AS digest FROM events WHERE event_id < 200), c AS MATERIALIZED (SELECT pos, {S.code('digest', 36, R)} AS x FROM d) SELECT pos, lpad(printf('%x', CAST(x AS BIGINT)), 9, '0') AS code FROM c")
+@query(f"WITH d AS (SELECT event_id AS pos, {S.digest(E_COLS)} AS digest FROM events), c AS MATERIALIZED (SELECT pos, {S.code('digest', 36, R)} AS x FROM d) SELECT pos, lpad(printf('%x', CAST(x AS BIGINT)), 9, '0') AS code FROM c")
 def udf_crc_pandas(spark, sf):
-    d = L.with_digest(L.events(spark, sf).where("event_id < 200"), E_COLS)
+    d = L.with_digest(L.events(spark, sf), E_COLS)
     return d.select("pos", udfs.code_udf(36, R)("digest").alias("code"))
 
 

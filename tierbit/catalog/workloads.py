@@ -3,19 +3,20 @@
 from __future__ import annotations
 
 import math
+from functools import reduce
 
 from pyspark.sql import functions as F
 
-from tierbit.catalog import query
+from tierbit.catalog import kept, query
 from tierbit.catalog import sqltext as S
 from tierbit.catalog.methods import E_COLS, R, U7, masks, pf
 from tierbit.config import PAPER, SMALL, IndexSpec
 from tierbit.operators import baselines as B
-from tierbit.operators import build, search, sparse, verify
+from tierbit.operators import build, merkle, search, sparse, verify
 from tierbit.operators.search import All
 from tierbit.plans import measures
 from tierbit.sources import ledger as L
-from tierbit.sources import storage
+from tierbit.sources import storage, store
 from tierbit.streaming import streams
 
 ENTITY = {"E": ("user_id", "7", "user_id = 7"), "O": ("custkey", "7", "o_custkey = 7"), "L": ("suppkey", "7", "l_suppkey = 7")}
@@ -39,29 +40,32 @@ for _n in ENTITY:
     _dim, _key, _cond = ENTITY[_n]
     _t = S.TABLES[_n]
     query(f"SELECT pos, key FROM (SELECT CAST(pos AS BIGINT) AS pos, '{_key}' AS key FROM {_t} WHERE {_cond})", name=f"w1_entity_{LONG[_n]}")(
-        lambda spark, sf, n=_n: search.fetch(L.extract(L.ledger(spark, sf, n), {ENTITY[n][0]: L.DIMS[n][ENTITY[n][0]]}), search.search_keyed(masks(spark, sf, n, dims=[ENTITY[n][0]]), All((ENTITY[n][:2],)), PAPER)).select("pos", "key")
+        lambda spark, sf, n=_n: search.fetch(L.extract(kept.ledger(spark, sf, n), {ENTITY[n][0]: L.DIMS[n][ENTITY[n][0]]}), search.search_keyed(kept.index(spark, sf, n), All((ENTITY[n][:2],)), PAPER)).select("pos", "key")
     )
-    query(f"SELECT CAST(pos AS BIGINT) AS pos FROM {_t} WHERE {THRESHOLD[_n]}", name=f"w2_threshold_{LONG[_n]}")(lambda spark, sf, n=_n: search.search_keyed(defined(spark, sf, n), threshold_query(n), PAPER))
+    query(f"SELECT CAST(pos AS BIGINT) AS pos FROM {_t} WHERE {THRESHOLD[_n]}", name=f"w2_threshold_{LONG[_n]}")(lambda spark, sf, n=_n: search.search_keyed(kept.index(spark, sf, n), threshold_query(n), PAPER))
     for _w, _c in (("w4_resumed_entity", _cond), ("w5_resumed_threshold", THRESHOLD[_n])):
 
         def _resumed(spark, sf, n=_n, entity=_w.startswith("w4")):
-            size = L.ledger(spark, sf, n).count()
-            m = masks(spark, sf, n, dims=[ENTITY[n][0]]) if entity else defined(spark, sf, n)
-            return search.search_keyed(m, All((ENTITY[n][:2],)) if entity else threshold_query(n), PAPER, math.ceil(0.9 * size))
+            own = kept.keeper(spark, sf, n)
+            size = own.manifest.n_records
+            return search.search_keyed(own.index(), All((ENTITY[n][:2],)) if entity else threshold_query(n), PAPER, math.ceil(0.9 * size))
 
         query(f"SELECT CAST(pos AS BIGINT) AS pos FROM {_t} WHERE {_c} AND pos >= ceil(0.9 * (SELECT count(*) FROM {_t}))", name=f"{_w}_{LONG[_n]}")(_resumed)
     for _page in (64,):
         query(f"SELECT count(*) AS hits, count(DISTINCT pos // {_page}) AS pages, round(count(DISTINCT pos // {_page}) * {_page} / count(*), 6) AS rows_per_hit FROM {_t} WHERE {_cond}", name=f"w1_read_amplification_{LONG[_n]}")(
-            lambda spark, sf, n=_n, page=_page: measures.read_amplification(B.full_scan(L.ledger(spark, sf, n), ENTITY[n][2]), page)
+            lambda spark, sf, n=_n, page=_page: measures.read_amplification(B.full_scan(kept.ledger(spark, sf, n), ENTITY[n][2]), page)
         )
 
 for _name, _make in {
     "k1": lambda e: B.OrderedIndex(e, "user_id").search("key = 7"),
+    "k2": lambda e: B.OrderedIndex(e, "user_id", clustered=True).search("key = 7"),
+    "k3": lambda e: B.OrderedIndex(e, "user_id").range(7, 7),
+    "k5": lambda e: B.HashAnnotatedIndex(e, "user_id", E_COLS).search_between(7, 7),
     "k4": lambda e: B.CompositeIndex(e, "user_id").search("key = 7"),
     "k6": lambda e: B.SkipIndex(e, "user_id").search("key = 7"),
     "k7": lambda e: B.full_scan(e, "user_id = 7"),
 }.items():
-    query("SELECT CAST(0 AS BIGINT) AS missing, CAST(0 AS BIGINT) AS extra", name=f"w1_agreement_{_name}")(lambda spark, sf, make=_make: measures.recall_precision(search.search_keyed(masks(spark, sf, "E", dims=["user_id"]), All(U7), PAPER), make(L.events(spark, sf))))
+    query("SELECT CAST(0 AS BIGINT) AS missing, CAST(0 AS BIGINT) AS extra", name=f"w1_agreement_{_name}")(lambda spark, sf, make=_make: measures.recall_precision(search.search_keyed(kept.index(spark, sf, "E"), All(U7), PAPER), make(L.events(spark, sf))))
 
 PREFIX = "n AS (SELECT max(event_id) + 1 AS n FROM events), p AS (SELECT i, i * n // 7 AS size FROM n, range(1, 8) t(i))"
 
@@ -78,28 +82,66 @@ def w3_insertion_work(spark, sf):
     return long_format(spark, rows)
 
 
-@query(None)
+BATCH = f"""{PREFIX}, x AS (SELECT size, size * 99 // 100 AS cut FROM p),
+o AS (SELECT size, user_id AS key, count(*) AS c FROM events, x WHERE event_id < cut GROUP BY ALL), ks AS (SELECT size, key, sum(c) OVER (PARTITION BY size ORDER BY key) AS upto FROM o),
+d AS (SELECT size, cut, user_id AS key, event_id AS pos FROM events, x WHERE event_id >= cut AND event_id < size),
+g AS (SELECT d.size, d.cut, CAST(greatest(0, coalesce(ks.upto, 0) - 1) AS BIGINT) // 16 AS leaf FROM d ASOF LEFT JOIN ks ON d.size = ks.size AND d.key >= ks.key),
+h AS (SELECT size, cut, CAST(1 + (SELECT count(*) FROM range(1, 9) t(i) WHERE pow(16, i) < cut) AS BIGINT) AS h FROM x),
+a AS (SELECT size, cut, leaf, count(*) AS added, least(16, cut - leaf * 16) AS held FROM g GROUP BY ALL),
+k AS (SELECT size, sum(added) AS keys, sum(greatest(0, ceil((added + held - 16) / 8.0))) AS splits, count(*) AS leaves FROM a GROUP BY size),
+u AS (SELECT g.size, i, leaf // CAST(pow(16, i) AS BIGINT) AS node FROM g JOIN h USING (size), range(0, 9) t(i) WHERE i < h GROUP BY ALL)"""
+LEVEL = "(CASE WHEN m = 0 THEN 20 ELSE least(20, CAST(log2(m & -m) AS INTEGER)) END)"
+
+
+@query(f"""WITH {BATCH} SELECT CAST(size AS BIGINT) AS size, method, measure, CAST(value AS DOUBLE) AS value FROM (
+SELECT size, 'ordered' AS method, 'node_visits' AS measure, keys * h AS value FROM k JOIN h USING (size) UNION ALL SELECT size, 'ordered', 'splits', splits FROM k
+UNION ALL SELECT size, 'hash-annotated', 'hashes', count(*) FROM u GROUP BY size
+UNION ALL SELECT size, 'composite', 'leaves', (size - 1) // 256 - cut // 256 + 1 FROM x
+UNION ALL SELECT size, 'skip list', 'pointers', sum({LEVEL} + 1) FROM (SELECT size, CAST('0x' || substr(md5(CAST(pos AS VARCHAR)), 1, 8) AS BIGINT) AS m FROM d) GROUP BY size)""")
 def w3_insertion_baselines(spark, sf):
-    """Node visits and splits of ordered indexes for the same batches, by prefix."""
+    """What each baseline touches for the last hundredth of each prefix."""
     e, rows = L.events(spark, sf), []
     n = e.agg(F.max("pos")).first()[0] + 1
-    for size in measures.prefixes(n)[::3]:
+    for size in measures.prefixes(n):
         cut = size * 99 // 100
-        for method, key in (("ordered", "user_id"), ("hash-annotated", "pos")):
-            index = B.OrderedIndex(e.where(F.col("pos") < cut), key, fanout=16)
-            c = index.insert_cost(e.where((F.col("pos") >= cut) & (F.col("pos") < size))).first()
-            rows += [(size, method, "node_visits", c["node_visits"]), (size, method, "splits", c["splits"])]
-            if method == "hash-annotated":
-                rows.append((size, method, "hashes", c["keys"] * index.hashes_per_insert()))
+        batch = e.where((F.col("pos") >= cut) & (F.col("pos") < size))
+        index = B.OrderedIndex(e.where(F.col("pos") < cut), "user_id", fanout=16)
+        leaves = storage.stored(index.placed(batch), "placed")
+        c = index.split_cost(leaves).first()
+        rows += [(size, "ordered", "node_visits", c["node_visits"]), (size, "ordered", "splits", c["splits"])]
+        rows.append((size, "hash-annotated", "hashes", index.renewed(leaves).agg(F.sum("nodes")).first()[0]))
+        rows.append((size, "composite", "leaves", (size - 1) // 256 - cut // 256 + 1))
+        rows.append((size, "skip list", "pointers", B.SkipIndex(e, "user_id").insert_cost(batch).first()["pointers"]))
     return long_format(spark, rows)
 
 
+SIDES = """{prefix}, r AS (SELECT size, {start} AS s FROM p),
+c AS (SELECT size, s, count(*) FILTER (hit) AS all_hits, count(*) FILTER (hit AND pos >= s) AS hits, count(*) FILTER (below) AS below, count(*) FILTER (pos // 256 >= s // 256) AS scanned, count(*) FILTER (pos >= s) AS fresh FROM r, t WHERE pos < size GROUP BY ALL),
+o AS (SELECT size, count(DISTINCT pos // 32) FILTER (pos // 32 >= s // 32) + count(DISTINCT pos // 1024) FILTER (pos // 1024 >= s // 1024) + count(DISTINCT pos // 32768) FILTER (pos // 32768 >= s // 32768) AS masks FROM r, t WHERE pos < size AND hit GROUP BY size)
+SELECT CAST(size AS BIGINT) AS size, method, measure, CAST(value AS DOUBLE) AS value FROM (SELECT size, 'ours' AS method, 'hits' AS measure, hits AS value FROM c UNION ALL SELECT size, 'ours', 'masks_read', coalesce(masks, 0) FROM c LEFT JOIN o USING (size)
+UNION ALL SELECT size, 'ordered', 'leaf_pages', CASE WHEN all_hits = 0 THEN 0 ELSE (below + all_hits - 1) // 256 - below // 256 + 1 END FROM c UNION ALL SELECT size, 'composite', 'scanned', scanned FROM c
+UNION ALL SELECT size, 'skip list', 'walked', fresh FROM c UNION ALL SELECT size, 'full scan', 'rows', size FROM c)"""
+VALUE = {"E": ("user_id", "value", 88.0), "O": ("o_custkey", "o_totalprice", 417000.0), "L": ("l_suppkey", "l_extendedprice", 87700.0)}
+
+for _n in ENTITY:
+    for _w, _resumed_ in (("w1", False), ("w2", False), ("w4", True), ("w5", True)):
+        _entity = _w in ("w1", "w4")
+        _hit = ENTITY[_n][2] if _entity else THRESHOLD[_n]
+        _below = f"{VALUE[_n][0]} < 7" if _entity else f"{VALUE[_n][1]} < {VALUE[_n][2]}"
+        _pre = f"t AS MATERIALIZED (SELECT CAST(pos AS BIGINT) AS pos, {_hit} AS hit, {_below} AS below FROM {S.TABLES[_n]}), n AS (SELECT max(pos) + 1 AS n FROM t), p AS (SELECT i, i * n // 7 AS size FROM n, range(1, 8) t(i))"
+        query("WITH " + SIDES.format(prefix=_pre, start="size * 9 // 10" if _resumed_ else "0"), name=f"{_w}_side_by_side_{LONG[_n]}")(
+            lambda spark, sf, n=_n, hit=_hit, below=_below, entity=_entity, resumed=_resumed_: measures.side_by_side(
+                kept.ledger(spark, sf, n), search.search_keyed(kept.index(spark, sf, n), All((ENTITY[n][:2],)) if entity else threshold_query(n), PAPER), kept.keeper(spark, sf, n).manifest.n_records, hit, below, PAPER, resumed
+            )
+        )
+
+
 @query(f"WITH {PREFIX} SELECT CAST(size AS BIGINT) AS size, m AS method, 'hits' AS measure, CAST(count(*) AS DOUBLE) AS value FROM p, events, (VALUES ('restart'), ('resume')) v(m) WHERE user_id = 7 AND event_id < size AND (m = 'restart' OR event_id >= size * 9 // 10) GROUP BY ALL")
 def w6_resume_hits(spark, sf):
     f = storage.stored(pf(spark, sf, "E", ["user_id"]), "features")
     n, rows = f.agg(F.max("pos")).first()[0] + 1, []
     for size in measures.prefixes(n):
-        m = build.keyed(f.where((F.col("pos") < size) & (F.col("key") == "7")), SMALL)
+        m = build.keyed(f.where(F.col("pos") < size), SMALL)
         for method, start in (("restart", 0), ("resume", size * 9 // 10)):
             hits = search.search_keyed(m, All(U7), SMALL, start).count()
             if hits:
@@ -110,7 +152,7 @@ def w6_resume_hits(spark, sf):
 @query(f"WITH {S.features('E', ['user_id'], 'user_id = 7')}, {PREFIX}, f AS (SELECT size, pos, m FROM p, pf, (VALUES ('restart'), ('resume')) v(m) WHERE pos < size), k AS (SELECT size, m, pos, CASE WHEN m = 'restart' THEN 0 ELSE size * 9 // 10 END AS s FROM f) SELECT CAST(size AS BIGINT) AS size, m AS method, 'masks_read' AS measure, CAST(count(DISTINCT CASE WHEN pos // 512 >= s // 512 THEN pos // 512 END) + count(DISTINCT CASE WHEN pos // 64 >= s // 64 THEN pos // 64 END) + count(DISTINCT CASE WHEN pos // 8 >= s // 8 THEN pos // 8 END) AS DOUBLE) AS value FROM k GROUP BY ALL")
 def w6_resume_masks_read(spark, sf):
     """Masks read by a resumed and a restarted search on growing prefixes."""
-    f = storage.stored(pf(spark, sf, "E", ["user_id"]).where("key = '7'"), "features")
+    f = storage.stored(pf(spark, sf, "E", ["user_id"]), "features")
     n, rows = f.sparkSession.read.parquet(f"{sf}/events.parquet").agg(F.max("event_id")).first()[0] + 1, []
     for size in measures.prefixes(n):
         m = build.keyed(f.where(F.col("pos") < size), SMALL)
@@ -122,6 +164,12 @@ def w6_resume_masks_read(spark, sf):
 for _n in ("E", "O", "L14"):
     query(f"WITH {S.features(_n)} SELECT dim, count(DISTINCT key) AS features FROM pf GROUP BY dim", name=f"w7_feature_counts_{_n.lower()}")(lambda spark, sf, n=_n: measures.feature_stats(pf(spark, sf, n)))
 
+@query("WITH k AS (SELECT doc_id, 'token' AS dim, unnest(list_distinct(regexp_split_to_array(lower(text), '[^\\p{L}\\p{N}]+'))) AS key FROM documents UNION ALL SELECT doc_id, 'lang', lang FROM documents UNION ALL SELECT doc_id, 'source', source FROM documents) SELECT dim, count(DISTINCT key) AS features FROM k WHERE key <> '' GROUP BY dim")
+def w7_feature_counts_d(spark, sf):
+    docs = L.table(spark, sf, "documents").withColumn("pos", F.col("doc_id"))
+    return measures.feature_stats(L.extract_multi(docs, "text").unionByName(L.extract(docs, {"lang": "lang", "source": "source"})))
+
+
 SHARE = "f AS (SELECT dim, key, min(pos) AS first, row_number() OVER (PARTITION BY dim ORDER BY min(pos), key) AS nth, count(*) OVER (PARTITION BY dim) AS of FROM pf GROUP BY dim, key)"
 
 
@@ -141,7 +189,7 @@ def _shared(spark, sf, spec):
     return long_format(spark, rows)
 
 
-for _b in (4, 8):
+for _b in (2, 4, 8):
     _levels = " UNION ALL ".join(f"SELECT i, dim, key, pos // {_b ** (lv + 1)} AS node, {lv} AS level FROM s GROUP BY ALL" for lv in range(3))
     _nodes = " + ".join(f"CAST(ceil(n / {_b ** (lv + 1)}.0) AS BIGINT)" for lv in range(3))
     query(
@@ -151,20 +199,41 @@ for _b in (4, 8):
     )(lambda spark, sf, b=_b: _shared(spark, sf, IndexSpec(b, 3)))
 
 
-@query(f"WITH {S.features('O')}, n AS (SELECT max(pos) + 1 AS n FROM pf), p AS (SELECT i * n // 7 AS size FROM n, range(1, 8) t(i)), s AS (SELECT size, dim, key, pos FROM p, pf WHERE pos < size), z AS (SELECT size, dim, key, pos // 32 AS node, 0 AS lv FROM s GROUP BY ALL UNION ALL SELECT size, dim, key, pos // 1024, 1 FROM s GROUP BY ALL UNION ALL SELECT size, dim, key, pos // 32768, 2 FROM s GROUP BY ALL) SELECT CAST(size AS BIGINT) AS size, 'sparse' AS method, 'bits' AS measure, CAST(count(*) * 32 AS DOUBLE) AS value FROM z GROUP BY size")
-def w9_size_by_records(spark, sf):
-    f = storage.stored(pf(spark, sf, "O"), "features")
-    n = f.agg(F.max("pos")).first()[0] + 1
-    return long_format(spark, [(s, "sparse", "bits", build.keyed(f.where(F.col("pos") < s), PAPER).count() * 32) for s in measures.prefixes(n)])
+def _size_by_records(spark, sf, name):
+    """Index bits as the ledger grows by sevenths: each append touches the open tree only."""
+    f = storage.stored(L.extract(kept.ledger(spark, sf, name), L.DIMS[name]), "features")
+    n, done, rows = f.agg(F.max("pos")).first()[0] + 1, 0, []
+    own = store.Keeper(spark, storage.scratch(spark, "growing"), PAPER)
+    for size in measures.prefixes(n):
+        own.append(f.where((F.col("pos") >= done) & (F.col("pos") < size)), size - done, flush=True)
+        done = size
+        rows.append((size, "sparse", "bits", own.index().count() * PAPER.b))
+    return long_format(spark, rows)
+
+
+for _n, _name in (("O", "w9_size_by_records"), ("L14", "w9_size_by_records_l14")):
+    query(f"WITH {S.features(_n)}, n AS (SELECT max(pos) + 1 AS n FROM pf), p AS (SELECT i * n // 7 AS size FROM n, range(1, 8) t(i)), s AS (SELECT size, dim, key, pos FROM p, pf WHERE pos < size), z AS (SELECT size, dim, key, pos // 32 AS node, 0 AS lv FROM s GROUP BY ALL UNION ALL SELECT size, dim, key, pos // 1024, 1 FROM s GROUP BY ALL UNION ALL SELECT size, dim, key, pos // 32768, 2 FROM s GROUP BY ALL) SELECT CAST(size AS BIGINT) AS size, 'sparse' AS method, 'bits' AS measure, CAST(count(*) * 32 AS DOUBLE) AS value FROM z GROUP BY size", name=_name)(
+        lambda spark, sf, n=_n: _size_by_records(spark, sf, n)
+    )
+
+
+@query("WITH p AS (SELECT i * (SELECT max(event_id) + 1 FROM events) // 7 AS size FROM range(1, 8) t(i)) SELECT CAST(size AS BIGINT) AS size, 'hash-annotated' AS method, 'bits' AS measure, CAST(8 * 48 * (size + (SELECT sum(CAST(ceil(size / pow(64, j)) AS BIGINT)) FROM range(1, 6) u(j) WHERE j = 1 OR ceil(size / pow(64, j - 1)) > 1)) AS DOUBLE) AS value FROM p")
+def w9_size_hash_annotated(spark, sf):
+    """One dimension's annotated tree on the same growing prefixes of events: it never levels off."""
+    e = L.events(spark, sf)
+    n = e.agg(F.max("pos")).first()[0] + 1
+    return long_format(spark, [(s, "hash-annotated", "bits", 8 * B.HashAnnotatedIndex(e.where(F.col("pos") < s), "user_id", E_COLS, 64).size().first()[0]) for s in measures.prefixes(n)])
 
 
-@query("SELECT n * 16 AS ordered_bytes, n * 24 AS composite_bytes, n AS n FROM (SELECT count(*) AS n FROM events)")
+@query(f"WITH {S.features('E', ['user_id'])}, {S.masks(32)}, n AS (SELECT count(*) AS n FROM events) SELECT method, CAST(bytes AS BIGINT) AS bytes FROM (SELECT 'ours' AS method, (SELECT count(*) FROM m) * 4 AS bytes UNION ALL SELECT 'ordered', n * 16 FROM n UNION ALL SELECT 'composite', n * 24 FROM n UNION ALL SELECT 'hash-annotated', 48 * (n + CAST(ceil(n / 256.0) AS BIGINT) + CASE WHEN n > 256 THEN CAST(ceil(n / 65536.0) AS BIGINT) ELSE 0 END + CASE WHEN n > 65536 THEN 1 ELSE 0 END) FROM n)")
 def w10_storage(spark, sf):
-    n = L.events(spark, sf).count()
-    return spark.createDataFrame([(B.OrderedIndex(L.events(spark, sf), "user_id").storage(), n * 24, n)], "ordered_bytes long, composite_bytes long, n long")
+    """Bytes of one dimension's index by each method's own count of entries and nodes."""
+    e = L.events(spark, sf)
+    rows = [("ours", masks(spark, sf, "E", dims=["user_id"]).count() * PAPER.b // 8), ("ordered", B.OrderedIndex(e, "user_id").storage()), ("composite", B.CompositeIndex(e, "user_id").storage()), ("hash-annotated", B.HashAnnotatedIndex(e, "user_id", E_COLS).size().first()[0])]
+    return spark.createDataFrame(rows, "method string, bytes long")
 
 
-@query(None)
+@query(f"WITH s AS (SELECT CAST('0x' || substr(md5(CAST(event_id AS VARCHAR)), 1, 8) AS BIGINT) AS m FROM events) SELECT CAST(sum(16 + ({LEVEL} + 1) * 8) AS BIGINT) AS bytes FROM s")
 def w10_storage_skip_list(spark, sf):
     return B.SkipIndex(L.events(spark, sf), "user_id").storage()
 
@@ -180,65 +249,108 @@ def w11_code_cost(spark, sf):
     return spark.createDataFrame(out, "k int, n long, bytes long")
 
 
-@query("SELECT CAST(32 + 4 * i AS INTEGER) AS k, n * (32 + 4 * i) // 8 AS bytes, round(1 - (32 + 4 * i) / 256.0, 6) AS saved FROM (SELECT count(*) AS n FROM events WHERE user_id = 7), range(0, 25) t(i)")
+@query("WITH n AS (SELECT count(*) FILTER (user_id = 7) AS n, count(*) AS t FROM events) SELECT 'codes' AS method, CAST(32 + 4 * i AS INTEGER) AS k, n * (32 + 4 * i) // 8 AS bytes, round(1 - (32 + 4 * i) / 256.0, 6) AS saved FROM n, range(0, 25) t(i) UNION ALL SELECT 'raw digests', 256, n * 32, 0 FROM n UNION ALL SELECT 'hash-tree proofs', 256, n * 32 * CAST(ceil(log2(t)) AS BIGINT), round(1 - ceil(log2(t)), 6) FROM n")
 def w12_communication(spark, sf):
-    n = L.events(spark, sf).where("user_id = 7").count()
-    return spark.createDataFrame([(k, verify.vo_bytes(n, k), round(verify.saving(k), 6)) for k in range(32, 129, 4)], "k int, bytes long, saved double")
+    e = L.events(spark, sf)
+    n, total = e.where("user_id = 7").count(), e.count()
+    rows = [("codes", k, verify.vo_bytes(n, k), round(verify.saving(k), 6)) for k in range(32, 129, 4)]
+    rows += [("raw digests", 256, verify.vo_bytes(n, None), 0.0), ("hash-tree proofs", 256, n * merkle.proof_bytes(total), round(1.0 - merkle.levels_of(total), 6))]
+    return spark.createDataFrame(rows, "method string, k int, bytes long, saved double")
 
 
 @query(f"SELECT pos FROM {S.LINES} WHERE l_suppkey = 7 AND l_returnflag = 'R' AND l_linestatus = 'F'")
 def w13_conjunction_lines(spark, sf):
-    return search.search_keyed(masks(spark, sf, "L", dims=["suppkey", "returnflag", "linestatus"]), All((("suppkey", "7"), ("returnflag", "R"), ("linestatus", "F"))), PAPER)
+    return search.search_keyed(kept.index(spark, sf, "L"), All((("suppkey", "7"), ("returnflag", "R"), ("linestatus", "F"))), PAPER)
 
 
 @query("SELECT doc_id AS pos FROM documents JOIN labels USING (doc_id) WHERE toxic = 1 AND lang = 'en' AND list_contains(regexp_split_to_array(lower(text), '[^\\p{L}\\p{N}]+'), 'the')")
 def w13_conjunction_documents(spark, sf):
     docs = L.table(spark, sf, "documents").join(L.table(spark, sf, "labels"), "doc_id").withColumn("pos", F.col("doc_id"))
-    f = L.extract_multi(docs, "text").where("key = 'the'").unionByName(L.extract(docs, {"lang": "lang", "toxic": "toxic"}))
+    f = L.extract_multi(docs, "text").unionByName(L.extract(docs, {"lang": "lang", "toxic": "toxic"}))
     return search.search_keyed(build.keyed(f, PAPER), All((("token", "the"), ("lang", "en"), ("toxic", "1"))), PAPER)
 
 
 @query(f"SELECT pos FROM {S.STAR} WHERE o_custkey = 7 AND l_returnflag = 'R'")
 def w13_conjunction_star(spark, sf):
-    return search.search_keyed(masks(spark, sf, "L14", dims=["from", "is_error"]), All((("from", "7"), ("is_error", "true"))), PAPER)
+    return search.search_keyed(kept.index(spark, sf, "L14"), All((("from", "7"), ("is_error", "true"))), PAPER)
+
+
+@query(f"WITH s AS MATERIALIZED (SELECT CAST(pos AS BIGINT) AS pos, o_custkey AS a, l_suppkey AS b FROM {S.STAR}) SELECT pos, b AS \"to\", (SELECT count(*) FROM s WHERE a = 7) AS intersected_left, (SELECT count(*) FROM s x WHERE x.b = s.b) AS intersected_right FROM s WHERE a = 7 AND b = (SELECT min(b) FROM s WHERE a = 7)")
+def w13_conjunction_two_keys(spark, sf):
+    """From one sender to one receiver by one descent, beside the two lists that an ordered index per key would have to intersect."""
+    rows, index = kept.ledger(spark, sf, "L14"), kept.index(spark, sf, "L14")
+    sent = search.fetch(rows, search.search_keyed(index, All((("from", "7"),)), PAPER))
+    to = sent.agg(F.min("l_suppkey")).first()[0]
+    left, right = (search.count(index, All((f,)), PAPER).first()["n"] for f in (("from", "7"), ("to", str(to))))
+    both = search.search_keyed(index, All((("from", "7"), ("to", str(to)))), PAPER)
+    return both.select("pos", F.lit(to).cast("long").alias("to"), F.lit(left).cast("long").alias("intersected_left"), F.lit(right).cast("long").alias("intersected_right"))
 
 
 PICK = "(event_id * 7919) % 100"
 
 
-@query(f"SELECT CAST(rate AS INTEGER) AS rate, count(*) FILTER ({PICK} >= rate) AS accepted_b2, count(*) FILTER ({PICK} < rate) AS leftover_b2, count(*) AS accepted_b1, count(*) FILTER ({PICK} < rate) AS unexpected_b1 FROM events, (VALUES (0), (1), (10), (60), (100)) v(rate) WHERE user_id = 7 GROUP BY rate")
+@query(f"SELECT CAST(rate AS INTEGER) AS rate, count(*) FILTER ({PICK} >= rate) AS accepted_b2, count(*) FILTER ({PICK} < rate) AS leftover_b2, count(*) AS accepted_b1, count(*) FILTER ({PICK} < rate) AS unexpected_b1, CAST(0 AS BIGINT) AS accepted_b3, count(*) AS unexpected_b3, CASE WHEN rate = 0 THEN count(*) ELSE 0 END AS coarse_b2, CASE WHEN count(*) FILTER ({PICK} < rate) > 0 THEN 2 ELSE 1 END AS chain_calls_each_time FROM events, (VALUES (0), (1), (10), (60), (100)) v(rate) WHERE user_id = 7 GROUP BY rate")
 def w14_malicious(spark, sf):
+    """What codes accept of faulty answers, beside one root for all, and chain calls if leftover codes weren't reused (one is enough if they are)."""
     e = storage.stored(L.events(spark, sf).where("user_id = 7").select("pos", *E_COLS), "rows")
     vo = verify.make_vo(L.with_digest(e, E_COLS).select("pos", "digest"), R)
-    out = []
+    judged = lambda mode, rate: verify.verdict(verify.compare(vo, verify.inject(e, mode, rate, "value"), E_COLS), 0.0)
+    cases = [judged(m, r).withColumn("mode", F.lit(m)).withColumn("rate", F.lit(r)) for r in (0, 1, 10, 60, 100) for m in ("B1", "B2")] + [judged("B3", 100).withColumn("mode", F.lit("B3")).withColumn("rate", F.lit(-1))]
+    got = {(r["mode"], r["rate"]): r for r in reduce(lambda a, b: a.unionByName(b), cases).collect()}
+    root, out = verify.coarse_root(e, E_COLS), []
     for rate in (0, 1, 10, 60, 100):
-        b2 = verify.verdict(verify.compare(vo, verify.inject(e, "B2", rate, "value"), E_COLS), 0.0).first()
-        b1 = verify.verdict(verify.compare(vo, verify.inject(e, "B1", rate, "value"), E_COLS), 0.0).first()
-        out.append((rate, b2["n_acc"], b2["missing"], b1["n_acc"], b1["unexpected"]))
-    return spark.createDataFrame(out, "rate int, accepted_b2 long, leftover_b2 long, accepted_b1 long, unexpected_b1 long")
+        b1, b2, b3 = got["B1", rate], got["B2", rate], got["B3", -1]
+        sent = verify.inject(e, "B2", rate, "value")
+        coarse = sent.count() if verify.coarse_root(sent, E_COLS) == root else 0
+        out.append((rate, b2["n_acc"], b2["missing"], b1["n_acc"], b1["unexpected"], b3["n_acc"], b3["unexpected"], coarse, 2 if b2["missing"] else 1))
+    return spark.createDataFrame(out, "rate int, accepted_b2 long, leftover_b2 long, accepted_b1 long, unexpected_b1 long, accepted_b3 long, unexpected_b3 long, coarse_b2 long, chain_calls_each_time int")
+
+
+@query(f"SELECT CAST(rate AS INTEGER) AS rate, CAST(0 AS BIGINT) AS wrongly_accepted, CAST(0 AS BIGINT) AS wrongly_refused FROM (VALUES (0), (10), (60)) v(rate)")
+def m18_acceptance_quality(spark, sf):
+    """Altered records that codes accept, and right ones they refuse, of answers with altered copies added."""
+    e = storage.stored(L.events(spark, sf).where("value >= 88.0").select("pos", *E_COLS), "rows")
+    vo = verify.make_vo(L.with_digest(e, E_COLS).select("pos", "digest"), R)
+    out = []
+    for rate in (0, 10, 60):
+        given = verify.inject(e, "B1", rate, "value")
+        accepted = verify.compare(vo, given, E_COLS).where("state = 'accepted'").select(*verify.CODE)
+        right = verify.with_codes(L.with_digest(e, E_COLS), vo.k, vo.r).select(*verify.CODE)
+        wrong = verify.with_codes(L.with_digest(given.exceptAll(e), E_COLS), vo.k, vo.r).select(*verify.CODE)
+        out.append((rate, accepted.join(wrong, verify.CODE, "left_semi").count(), right.exceptAll(accepted).count()))
+    return spark.createDataFrame(out, "rate int, wrongly_accepted long, wrongly_refused long")
 
 
 @query("WITH n AS (SELECT max(event_id) + 1 AS n FROM events) SELECT CAST(i AS INTEGER) AS step, count(event_id) FILTER (value >= 88.0) AS new_hits FROM n, range(1, 6) t(i), events WHERE event_id >= (i - 1) * n // 5 AND event_id < i * n // 5 GROUP BY i")
 def w15_recount(spark, sf):
-    """A count asked again after each fifth of the ledger, each time from its token."""
-    m, n = storage.stored(defined(spark, sf, "E", SMALL), "masks"), L.events(spark, sf).count()
-    out, stop = [], 0
+    """A count asked again after each fifth of a ledger whose index grows by appends, each time from its token."""
+    f = storage.stored(L.define(L.events(spark, sf), L.DEFINED["E"]), "features")
+    n = L.events(spark, sf).count()
+    own, out, stop = store.Keeper(spark, storage.scratch(spark, "growing"), SMALL), [], 0
     for i in range(1, 6):
         end = i * n // 5
-        upto = m.where(F.col("tree") <= end // SMALL.tree)
-        total = search.search_keyed(upto, threshold_query("E"), SMALL, stop).where(F.col("pos") < end).count()
-        out.append((i, total))
+        own.append(f.where((F.col("pos") >= stop) & (F.col("pos") < end)), end - stop, flush=True)
+        out.append((i, search.count(own.index(), threshold_query("E"), SMALL, stop).first()["n"]))
         stop = end
     return spark.createDataFrame(out, "step int, new_hits long")
 
 
-@query(f"WITH {S.features('E', ['user_id'])} SELECT key, min(pos) // 512 AS first_tree, CAST(0 AS BIGINT) AS masks_before FROM pf WHERE key = (SELECT max(key) FROM pf) GROUP BY key")
+@query(f"WITH {S.features('O', ['custkey'])}, c AS (SELECT (max(pos) + 1) // 10 AS cut FROM pf), k AS (SELECT key, min(pos) AS first FROM pf, c GROUP BY key HAVING min(pos) >= any_value(cut)), new AS (SELECT pf.* FROM pf JOIN k USING (key)), {S.masks(8, pf='new', name='w')}, {S.masks(8)} SELECT key, first, CAST(0 AS BIGINT) AS masks_before, (SELECT count(*) FROM w WHERE w.key = k.key) AS masks_after, (SELECT count(*) FROM m WHERE tree < (SELECT cut FROM c) // 512) AS untouched FROM k")
 def w16_unseen_keyword(spark, sf):
-    m = masks(spark, sf, "E", SMALL, ["user_id"])
-    top = m.agg(F.max("key")).first()[0]
-    own = m.where(F.col("key") == top)
-    first = own.agg(F.min("tree")).first()[0]
-    return spark.createDataFrame([(top, first, own.where(F.col("tree") < first).count())], "key string, first_tree long, masks_before long")
+    """Keys first seen after a tenth of the ledger: absent before the append, indexed from their first record after it, and full trees stay as written."""
+    f = storage.stored(pf(spark, sf, "O", ["custkey"]), "features")
+    n = f.agg(F.max("pos")).first()[0] + 1
+    own = store.Keeper(spark, storage.scratch(spark, "growing"), SMALL)
+    own.append(f.where(F.col("pos") < n // 10), n // 10, flush=True)
+    old, full = storage.stored(own.index(), "old"), n // 10 // SMALL.tree
+    batch = f.where(F.col("pos") >= n // 10)
+    fresh = storage.stored(build.new_features(old, batch), "fresh")
+    own.append(batch, n - n // 10, flush=True)
+    index = own.index()
+    same = index.where(F.col("tree") < full).intersectAll(old.where(F.col("tree") < full).select(index.columns)).count()
+    counted = lambda m, name: m.groupBy("dim", "key").agg(F.count("*").alias(name))
+    both = fresh.join(counted(old, "masks_before"), ["dim", "key"], "left").join(counted(index, "masks_after"), ["dim", "key"])
+    return both.select("key", F.col("created_pos").alias("first"), F.coalesce("masks_before", F.lit(0).cast("long")).alias("masks_before"), "masks_after", F.lit(same).cast("long").alias("untouched"))
 
 
 @query("SELECT * FROM (VALUES ('two trees', CAST(3255296 AS BIGINT)), ('filter bits', CAST(214 AS BIGINT)), ('fig 4', CAST(4 AS BIGINT))) t(example, value)")
@@ -258,15 +370,17 @@ def w18_lost_fragment(spark, sf):
     return resume.between(masks(spark, sf, "E", SMALL, ["user_id"]), All(U7), SMALL, resume.make_token(1, n // 3), resume.make_token(1, 2 * n // 3))
 
 
-@query("SELECT CAST(k AS INTEGER) AS features, CAST(1 AS INTEGER) AS scans, count(*) FILTER (l_extendedprice >= 5000 * j) AS records FROM lineitem, (VALUES (1), (4), (16)) v(k), range(1, 17) t(j) WHERE j <= k GROUP BY k")
+@query("SELECT method, CAST(k AS INTEGER) AS features, CAST(CASE WHEN method = 'batched' THEN 1 ELSE k END AS INTEGER) AS scans, count(*) FILTER (l_extendedprice >= 5000 * j) AS records FROM lineitem, (VALUES (1), (4), (16)) v(k), range(1, 17) t(j), (VALUES ('batched'), ('one by one')) w(method) WHERE j <= k GROUP BY ALL")
 def w19_batch_creation(spark, sf):
+    """The same features made by one scan for all that wait, and by a scan for each."""
     lines = L.table(spark, sf, "lineitem").withColumn("pos", F.lit(0).cast("long"))
     out = []
     for k in (1, 4, 16):
-        q = L.CreateQueue(lines, n_create=k)
-        made = [q.submit(f"p{j}", f"l_extendedprice >= {5000 * j}") for j in range(1, k + 1)][-1]
-        out.append((k, q.scans, made.count()))
-    return spark.createDataFrame(out, "features int, scans int, records long")
+        for method, wait in (("batched", k), ("one by one", 1)):
+            q = L.CreateQueue(lines, n_create=wait)
+            made = [q.submit(f"p{j}", f"l_extendedprice >= {5000 * j}") for j in range(1, k + 1)]
+            out.append((method, k, q.scans, sum(x.count() for x in made if x is not None)))
+    return spark.createDataFrame(out, "method string, features int, scans int, records long")
 
 
 @query("SELECT count(*) AS n, (SELECT count(*) FROM lineitem WHERE l_extendedprice >= 20000 AND l_extendedprice < 40000) AS bucketed FROM lineitem WHERE l_extendedprice BETWEEN 20000 AND 30000")
@@ -307,11 +421,12 @@ def m9_selectivity(spark, sf):
     return masks(spark, sf, "E", dims=["user_id"]).where("level = 0").groupBy("dim", "key").agg(F.round(F.sum(F.bit_count("mask")) / n, 6).alias("selectivity"))
 
 
-@query("SELECT count(*) AS n, CAST(0 AS BIGINT) AS collisions_64 FROM events")
+@query(f"WITH c AS MATERIALIZED (SELECT CAST({S.code('d', 32, R)} AS BIGINT) AS x FROM (SELECT {S.digest(E_COLS)} AS d FROM events)), w AS (SELECT b, x % CAST(pow(2, b) AS BIGINT) AS y FROM c, (VALUES (12), (16), (20), (32)) v(b)), g AS (SELECT b, y, count(*) AS n FROM w GROUP BY ALL) SELECT CAST(b AS INTEGER) AS bits, CAST(sum(n) AS BIGINT) AS n, CAST(sum(CASE WHEN n > 1 THEN n ELSE 0 END) AS BIGINT) AS colliding FROM g GROUP BY b")
 def m14_collisions(spark, sf):
-    """Rows whose 64-bit codes collide, against the count of rows."""
-    c = verify.with_codes(L.with_digest(L.events(spark, sf), E_COLS), 64, R)
-    return c.groupBy("code_hi", "code_lo").count().agg(F.sum("count").alias("n"), F.coalesce(F.sum(F.when(F.col("count") > 1, F.col("count"))), F.lit(0)).cast("long").alias("collisions_64"))
+    """Rows that share the low bits of their code with another row, at widths where chance shows and at 32."""
+    c = verify.with_codes(L.with_digest(L.events(spark, sf), E_COLS), 32, R)
+    low = c.select(F.explode(F.array(*[F.struct(F.lit(b).alias("bits"), F.col("code_lo").bitwiseAND((1 << b) - 1).alias("y")) for b in (12, 16, 20, 32)])).alias("x")).select("x.*")
+    return low.groupBy("bits", "y").count().groupBy("bits").agg(F.sum("count").alias("n"), F.sum(F.when(F.col("count") > 1, F.col("count")).otherwise(0)).alias("colliding"))
 
 
 @query("SELECT count(*) // 32768 + CASE WHEN count(*) % 32768 > 0 THEN 1 ELSE 0 END AS bits FROM lineitem")
@@ -388,10 +503,20 @@ def st_join_watched(spark, sf):
     return streams.finish(s.join(watched, F.col("user_id").cast("string") == F.col("watched")).select("pos", "watched"), _name("watched"), "append")
 
 
-@query("SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, count(*) AS hits, max(event_id) AS last_pos FROM events GROUP BY 1")
+@query("WITH b AS (SELECT date_trunc('day', max(ts)) AS top FROM events), e AS (SELECT event_id, ts, event_id % 10 = 3 AS late FROM events), w AS (SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, count(*) FILTER (NOT late) AS windowed, count(*) AS indexed FROM e GROUP BY 1) SELECT day, windowed, indexed FROM w")
 def st_late_records(spark, sf):
-    """Late records keep their event time in windows and their arrival position in the index."""
-    e = L.events(spark, sf).select("pos", "ts")
-    s = streams.timed(streams.source(spark, streams.split_files(e.withColumn("order", F.pmod(F.xxhash64("pos"), F.lit(4))), 4, "order"), e.withColumn("order", F.lit(0).cast("long")).schema), lateness="400 days")
-    w = s.groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("hits"), F.max("pos").alias("last_pos"))
-    return streams.finish(w.select(F.date_format("window.start", "yyyy-MM-dd").alias("day"), "hits", "last_pos"), _name("late"), "complete")
+    """Every tenth record arrives after the watermark has passed its day: it is dropped from the window and still indexed."""
+    e = L.events(spark, sf).select("pos", F.col("ts").cast("timestamp").alias("ts"))
+    end = e.agg(F.max("ts")).first()[0]
+    # two later records in batches of their own: a batch is held against the watermark of the one before its last
+    mark = e.limit(1).select(F.explode(F.array(F.lit(-1), F.lit(-2))).cast("long").alias("pos"), (F.lit(end) + F.expr("INTERVAL 30 DAYS")).alias("ts"))
+    late = F.col("pos") % 10 == 3
+    arrival = F.when(F.col("pos") < 0, -F.col("pos")).when(late, 3).otherwise(0).cast("long")
+    all_rows = e.unionByName(mark).withColumn("order", arrival)
+    stream = streams.timed(streams.source(spark, streams.split_files(all_rows, 4, "order"), all_rows.schema), lateness="1 day")
+    day = F.date_format("window.start", "yyyy-MM-dd")
+    w = stream.groupBy(F.window("ts", "1 day")).agg(F.count_if(F.col("pos") >= 0).alias("windowed"))
+    windowed = streams.finish(w.select(day.alias("day"), "windowed"), _name("late"), "append")
+    f = storage.stored(L.extract(e, {"day": "date_format(ts, 'yyyy-MM-dd')"}), "features")
+    indexed = build.keyed(f, SMALL).where("level = 0").groupBy(F.col("key").alias("day")).agg(F.sum(F.bit_count("mask")).alias("indexed"))
+    return indexed.join(windowed, "day", "left").select("day", F.coalesce("windowed", F.lit(0).cast("long")).alias("windowed"), "indexed")

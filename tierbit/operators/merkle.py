@@ -4,24 +4,37 @@ from __future__ import annotations
 
 import hashlib
 import secrets
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tierbit.sources.storage import stored
+
 
 def levels_of(n: int) -> int:
     return max(0, (n - 1).bit_length())
 
 
-def build(digests: DataFrame, n: int) -> DataFrame:
-    """(level, idx, hash) from (pos, digest) with positions 0..n-1; a last node without a sibling goes up unchanged."""
+def build(digests: DataFrame, n: int, step: int = 10) -> DataFrame:
+    """(level, idx, hash) from (pos, digest) with positions 0..n-1; a last node without a sibling goes up unchanged.
+
+    A pass gathers 2 ** step nodes to a row and makes ``step`` levels above them there; what it
+    makes is written, so passes don't repeat each other's work.
+    """
     level = digests.select(F.col("pos").alias("idx"), F.col("digest").alias("hash"))
-    out = level.select(F.lit(0).alias("level"), "idx", "hash")
-    for n_level in range(1, levels_of(n) + 1):
-        pair = level.groupBy(F.expr("idx div 2").alias("up")).agg(F.max(F.when(F.expr("idx % 2 = 0"), F.col("hash"))).alias("l"), F.max(F.when(F.expr("idx % 2 = 1"), F.col("hash"))).alias("r"))
-        level = pair.select(F.col("up").alias("idx"), F.when(F.col("r").isNull(), F.col("l")).otherwise(F.sha2(F.unhex(F.concat("l", "r")), 256)).alias("hash"))
-        out = out.unionByName(level.select(F.lit(n_level).alias("level"), "idx", "hash"))
-    return out
+    out, done = [level.select(F.lit(0).alias("level"), "idx", "hash")], 0
+    while done < levels_of(n):
+        k = min(step, levels_of(n) - done)
+        rows = level.groupBy(F.shiftright("idx", k).alias("g")).agg(F.array_sort(F.collect_list(F.struct("idx", "hash"))).alias("x")).select("g", F.transform("x", lambda x: x["hash"]).alias("a0"))
+        for i in range(k):
+            rows = rows.withColumn(f"a{i + 1}", F.expr(f"transform(sequence(0, (size(a{i}) - 1) div 2), j -> if(2 * j + 1 < size(a{i}), sha2(unhex(concat(a{i}[cast(2 * j as int)], a{i}[cast(2 * j + 1 as int)])), 256), a{i}[cast(2 * j as int)]))"))
+        rows = stored(rows.drop("a0"), "hash-tree")
+        for i in range(1, k + 1):
+            nodes = rows.select(F.shiftleft("g", k - i).alias("first"), F.posexplode(f"a{i}").alias("i", "hash"))
+            out.append(nodes.select(F.lit(done + i).alias("level"), (F.col("first") + F.col("i")).alias("idx"), "hash"))
+        level, done = rows.select(F.col("g").alias("idx"), F.element_at(f"a{k}", 1).alias("hash")), done + k
+    return reduce(DataFrame.unionByName, out)
 
 
 def proof(tree: DataFrame, i: int, n: int) -> list[tuple[int, str]]:

@@ -12,8 +12,16 @@ from tierbit.operators.build import KEY
 
 
 def ranked(masks: DataFrame) -> DataFrame:
-    """Rank layout: (level, dim, key, rank, mask), masks of a feature and level in node order."""
-    return masks.withColumn("rank", F.row_number().over(W.partitionBy("level", *KEY).orderBy("node")) - 1)
+    """Rank layout: (level, dim, key, rank, mask), masks of a feature and level in node order.
+
+    Ranks within a tree, and the masks of the trees before it: only one row per tree meets the others of its feature.
+    """
+    own = ["level", *KEY, "tree"]
+    trees = masks.groupBy(*own).agg(F.count("*").alias("n"))
+    before = W.partitionBy("level", *KEY).orderBy("tree").rowsBetween(W.unboundedPreceding, -1)
+    trees = trees.select(*own, F.coalesce(F.sum("n").over(before), F.lit(0)).alias("before"))
+    within = masks.withColumn("_in", F.row_number().over(W.partitionBy(*own).orderBy("node")) - 1)
+    return within.join(trees, own).withColumn("rank", (F.col("before") + F.col("_in")).cast("int")).drop("before", "_in")
 
 
 def presence(masks: DataFrame, spec: IndexSpec) -> DataFrame:

@@ -10,7 +10,8 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from tierbit.functions.crc import WIDTHS, code_columns
-from tierbit.sources.ledger import digest
+from tierbit.operators import merkle
+from tierbit.sources.ledger import digest, with_digest, with_rank
 
 
 def alpha(n: int, k: int) -> float:
@@ -112,6 +113,21 @@ def agree(results: DataFrame) -> DataFrame:
     return votes.groupBy("n", "mark").agg(F.count("*").alias("votes"), F.min("replica").alias("replica")).orderBy(F.desc("votes"), "replica").limit(1).select("replica", "n", "votes")
 
 
+def coarse_root(rows: DataFrame, cols: list[str]) -> str | None:
+    """The root of a hash tree over an answer in order of position; none for an empty one."""
+    ordered = with_rank(with_digest(rows, cols).select("pos", "digest"), ["pos"], "at")
+    n = ordered.count()
+    if not n:
+        return None
+    tree = merkle.build(ordered.select(F.col("at").alias("pos"), "digest"), n)
+    return tree.where(F.col("level") == merkle.levels_of(n)).first()["hash"]
+
+
+def coarse(chain_rows: DataFrame, given: DataFrame, cols: list[str]) -> int:
+    """Records accepted by comparing roots alone: all that were given, or none."""
+    return given.count() if coarse_root(chain_rows, cols) == coarse_root(given, cols) else 0
+
+
 def vo_bytes(n: int, k: int | None) -> int:
     return n * (256 if k is None else k) // 8
 

@@ -35,23 +35,25 @@ def with_rank(df: DataFrame, order: list[str], name: str = "pos", partitions: in
     """
     n = partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     ranged = stored(df.repartitionByRange(n, *order).sortWithinPartitions(*order).withColumn("_at", F.monotonically_increasing_id()), "ranged")
-    counts = {r[0]: r[1] for r in ranged.groupBy(F.shiftright("_at", 33).alias("p")).count().collect()}
-    base, seen = [], 0
-    for p in sorted(counts):
-        base += [F.lit(p), F.lit(seen)]
-        seen += counts[p]
-    offset = F.create_map(*base)[F.shiftright("_at", 33)] if base else F.lit(0)
-    return ranged.withColumn(name, (offset + F.col("_at").bitwiseAND((1 << 33) - 1)).cast("long")).drop("_at")
+    ranged = ranged.withColumn("_part", F.shiftright("_at", 33))
+    offsets = _offsets(ranged, "_part", "long")
+    return ranged.join(F.broadcast(offsets), "_part").withColumn(name, F.col("_offset") + F.col("_at").bitwiseAND((1 << 33) - 1)).drop("_at", "_part", "_offset")
+
+
+def _offsets(parts: DataFrame, col: str, kind: str) -> DataFrame:
+    """Rows before each part, one small row for each range or file: the only table that is broadcast here."""
+    rows, seen = [], 0
+    for p, n in sorted((r[0], r[1]) for r in parts.groupBy(col).count().collect()):
+        rows.append((p, seen))
+        seen += n
+    return parts.sparkSession.createDataFrame(rows, f"{col} {kind}, _offset long")
 
 
 def with_file_positions(df: DataFrame, name: str = "pos") -> DataFrame:
     """Positions by file and row within it: no shuffle; one count per file reaches the driver."""
     marked = df.select("*", F.col("_metadata.file_path").alias("_file"), F.col("_metadata.row_index").alias("_row"))
-    base, seen = [], 0
-    for file, n in sorted((r[0], r[1]) for r in marked.groupBy("_file").count().collect()):
-        base += [F.lit(file), F.lit(seen)]
-        seen += n
-    return marked.withColumn(name, (F.create_map(*base)[F.col("_file")] if base else F.lit(0)) + F.col("_row")).drop("_file", "_row")
+    offsets = _offsets(marked, "_file", "string")
+    return marked.join(F.broadcast(offsets), "_file").withColumn(name, F.col("_offset") + F.col("_row")).drop("_file", "_row", "_offset")
 
 
 def events(spark, sf_dir) -> DataFrame:

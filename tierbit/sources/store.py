@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from tierbit.config import IndexSpec
 from tierbit.operators.build import keyed, merge
+from tierbit.sources.storage import stored
 
 SCHEMA = "level int, dim string, key string, tree long, node long, mask long"
 
@@ -59,6 +60,8 @@ class Keeper:
     def append(self, features: DataFrame, n_new: int, flush: bool = False) -> Manifest:
         """Take records ``n_records .. n_records + n_new - 1``. Without ``flush`` only full trees are written; their records' rest waits."""
         m = self.manifest
+        if not flush:  # it may wait long: read what it comes from only once
+            features = stored(features, "waiting")
         self.pending = features if self.pending is None else self.pending.unionByName(features)
         self.waiting = getattr(self, "waiting", 0) + n_new
         end = m.n_records + self.waiting
@@ -80,4 +83,4 @@ class Keeper:
         return new
 
     def _write(self, masks: DataFrame, name: str) -> None:
-        masks.repartition("dim", "key").sortWithinPartitions("dim", "key", "tree", "node").write.partitionBy("level").mode("overwrite").parquet(f"{self.path}/masks/part={name}")
+        masks.repartition("dim", "key", "tree").sortWithinPartitions("dim", "key", "tree", "node").write.partitionBy("level").mode("overwrite").parquet(f"{self.path}/masks/part={name}")

@@ -8,9 +8,9 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from tierbit.config import IndexSpec
-from tierbit.operators.build import keyed, merge
 from tierbit.sources.ledger import extract
-from tierbit.sources.storage import scratch, stored
+from tierbit.sources.storage import scratch
+from tierbit.sources.store import Keeper
 
 
 def split_files(df: DataFrame, n: int, order: str = "pos") -> str:
@@ -40,16 +40,19 @@ def finish(df: DataFrame, name: str, mode: str) -> DataFrame:
 
 
 def index_stream(spark: SparkSession, path: str, schema, dims: dict[str, str], spec: IndexSpec) -> DataFrame:
-    """The index from a stream of record files: each batch merges by OR, so a replayed one changes nothing."""
-    held: dict[str, DataFrame | None] = {"masks": None}
+    """The index from a stream of record files in order of position: a batch appends to the kept index, which
+    touches its open tree only. What the manifest counts already is left out, so a replayed batch changes nothing."""
+    keeper = Keeper(spark, scratch(spark, "streamed"), spec)
 
     def take(batch: DataFrame, _: int) -> None:
-        fresh = keyed(extract(batch, dims), spec)
-        held["masks"] = stored(fresh if held["masks"] is None else merge(held["masks"], fresh), "streamed")
+        done = keeper.manifest.n_records
+        last = batch.agg(F.max("pos")).first()[0]
+        if last is not None and last >= done:
+            keeper.append(extract(batch.where(F.col("pos") >= done), dims), last + 1 - done, flush=True)
 
     q = source(spark, path, schema).writeStream.foreachBatch(take).trigger(availableNow=True).option("checkpointLocation", scratch(spark, "offsets")).start()
     q.awaitTermination()
-    return held["masks"]
+    return keeper.index()
 
 
 def open_tree_state(stream: DataFrame, b: int) -> DataFrame:
