@@ -109,7 +109,7 @@ def cut_pieces(docs: DataFrame, tokenizer: str, end_id: int, window: int = 2048,
     return out if with_ids else out.drop("ids")
 
 
-def pack(docs: DataFrame, tokenizer: str, end_id: int, window: int = 2048, share: int = 1 << 20, key: str = "doc_id", text: str = "text", with_ids: bool = False) -> DataFrame:
+def pack(docs: DataFrame, tokenizer: str, end_id: int, window: int = 2048, share: int = 1 << 16, key: str = "doc_id", text: str = "text", with_ids: bool = False) -> DataFrame:
     """The pieces with sequence_id and offset."""
     spark = docs.sparkSession
     pieces = stored(cut_pieces(docs, tokenizer, end_id, window, key, text, with_ids), "pieces")

@@ -6,8 +6,8 @@ seek table: compressed size, decompressed size and checksum (low half of XXH64)
 frame. A reader that wants some documents reads the two tables and only their frames.
 
 Documents are range-partitioned by id into as many tasks as their bytes ask for (``file_bytes``
-of text each; ties by a hash of the text and a row number, so neither a repeated id nor a
-repeated row can fill a task). A task streams its rows into files that it closes at
+of text each; ties by a row number, so neither a repeated id nor a repeated row can fill a
+task). A task streams its rows into files that it closes at
 ``file_bytes`` of ids. File names are a task's own and only those reported by finished tasks
 enter the manifest, so retries leave no half files in it. The manifest is a written table with
 one row per file; ``start`` is a sum over those rows.
@@ -160,7 +160,7 @@ def write_tokens(docs: DataFrame, tokenizer: str, end_id: int | None, key: str =
 
     rows = docs.select(F.col(f"`{key}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text"))
     tasks = max(1, -(-(rows.agg(F.sum(F.coalesce(F.octet_length("text"), F.lit(0)) + 8)).first()[0] or 0) // file_bytes))
-    ranged = lean(rows).select("doc_id", "text", F.xxhash64("text").alias("tie"), F.monotonically_increasing_id().alias("nth")).repartitionByRange(tasks, "doc_id", "tie", "nth").sortWithinPartitions("doc_id", "tie", "nth")
+    ranged = lean(rows).select("doc_id", "text", F.monotonically_increasing_id().alias("nth")).repartitionByRange(tasks, "doc_id", "nth").sortWithinPartitions("doc_id", "nth")
     files = stored(ranged.select("doc_id", "text").mapInArrow(write, "part int, nth int, path string, n_docs long, n_tokens long"), "files")
     order = W.orderBy("part", "nth")  # one row per file, whatever the number of documents
     before = F.coalesce(F.sum("n_tokens").over(order.rowsBetween(W.unboundedPreceding, -1)), F.lit(0))

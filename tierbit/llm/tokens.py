@@ -13,6 +13,7 @@ from __future__ import annotations
 import re
 import struct
 import zlib
+from os.path import commonprefix
 
 import numpy as np
 import pyarrow as pa
@@ -57,7 +58,7 @@ def _byte_letters() -> dict[int, str]:
 class Encoder:
     """Ids as little-endian unsigned 32-bit integers."""
 
-    def __init__(self, path: str, cached: int = 150_000):
+    def __init__(self, path: str, cached: int = 400_000):
         from tokenizers import Tokenizer
 
         self.lib = Tokenizer.from_file(path)
@@ -65,6 +66,9 @@ class Encoder:
         words = self.model.end_of_word_suffix == "</w>"
         self.split, self.lower = (WORD_SPLIT, True) if words else (BYTE_SPLIT, False)
         self.added = [t.content.lower() for t in self.lib.get_added_tokens_decoder().values()]
+        self.start = commonprefix(self.added)
+        if any(map(str.isalpha, self.start)):
+            self.start = ""  # it may be written in capitals
         self.letters = _byte_letters()
         self.seen = _Words(self.word)
         self.cached = cached
@@ -77,12 +81,13 @@ class Encoder:
     def whole(self, text: str) -> bytes:
         return np.asarray(self.lib.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
-    def plain(self, text: str, low: str) -> bool:
+    def plain(self, text: str) -> bool:
         """Whether the text can be split here: safe characters only, and no added token's name."""
         try:
-            return not text.encode("latin-1").translate(None, SAFE) and not any(a in low for a in self.added)
+            safe = not text.encode("latin-1").translate(None, SAFE)
         except UnicodeEncodeError:
             return False
+        return safe and not (self.start in text and any(a in text.lower() for a in self.added))
 
     def encode(self, texts: list[str]) -> list[bytes]:
         out, split = [], self.split.findall
@@ -91,10 +96,9 @@ class Encoder:
             self.seen = _Words(self.word, self.seen)
         ids = self.seen.__getitem__
         for t in texts:
-            low = t.lower()
-            if self.plain(t, low):
+            if self.plain(t):
                 try:
-                    out.append(b"".join(map(ids, split(low if self.lower else t))))
+                    out.append(b"".join(map(ids, split(t.lower() if self.lower else t))))
                     continue
                 except _Long:
                     pass
