@@ -509,7 +509,7 @@ def st_late_records(spark, sf):
     e = L.events(spark, sf).select("pos", F.col("ts").cast("timestamp").alias("ts"))
     end = e.agg(F.max("ts")).first()[0]
     # two later records in batches of their own: a batch is held against the watermark of the one before its last
-    mark = e.limit(1).select(F.explode(F.array(F.lit(-1), F.lit(-2))).cast("long").alias("pos"), (F.lit(end) + F.expr("INTERVAL 30 DAYS")).alias("ts"))
+    mark = e.limit(1).select(F.explode(F.array(F.lit(-1).cast("long"), F.lit(-2).cast("long"))).alias("pos"), (F.lit(end) + F.expr("INTERVAL 30 DAYS")).alias("ts"))
     late = F.col("pos") % 10 == 3
     arrival = F.when(F.col("pos") < 0, -F.col("pos")).when(late, 3).otherwise(0).cast("long")
     all_rows = e.unionByName(mark).withColumn("order", arrival)
