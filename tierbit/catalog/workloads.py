@@ -173,30 +173,38 @@ def w7_feature_counts_d(spark, sf):
 SHARE = "f AS (SELECT dim, key, min(pos) AS first, row_number() OVER (PARTITION BY dim ORDER BY min(pos), key) AS nth, count(*) OVER (PARTITION BY dim) AS of FROM pf GROUP BY dim, key)"
 
 
-def _shared(spark, sf, spec):
-    """Index bits over a growing share of each dimension's keys (by first appearance): (share, sparse bits, dense bits, records)."""
-    from pyspark.sql import Window as W
+W8 = {"O": ["custkey", "orderdate"], "L14": ["from", "to", "to_create", "value", "gas_limit", "gas_price", "gas_used", "function"]}
 
-    f = storage.stored(pf(spark, sf, "O", ["custkey", "orderdate"]), "features")
-    keys = f.groupBy("dim", "key").agg(F.min("pos").alias("first"))
-    keys = keys.withColumn("nth", F.row_number().over(W.partitionBy("dim").orderBy("first", "key"))).withColumn("of", F.count("*").over(W.partitionBy("dim")))
-    n, rows = f.agg(F.max("pos")).first()[0] + 1, []
+
+def _shared(spark, sf, spec, name):
+    """Index bits over a growing share of each dimension's keys (by first appearance): (share, sparse bits, dense bits).
+
+    A feature's masks don't depend on other features, so one build gives every share.
+    """
+    f = storage.stored(pf(spark, sf, name, W8[name]), "features")
+    n = f.agg(F.max("pos")).first()[0] + 1
+    masks_of = build.keyed(f, spec).groupBy("dim", "key").agg(F.count("*").alias("masks"))
+    keys = L.with_rank(f.groupBy("dim", "key").agg(F.min("pos").alias("first")), ["dim", "first", "key"], "at")
+    keys = storage.stored(keys.join(masks_of, ["dim", "key"]), "keys")
+    whole = keys.groupBy("dim").agg(F.min("at").alias("start"), F.count("*").alias("of"))
+    least = F.expr("((at - start + 1) * 7 + of - 1) div of")  # the first share that holds the key
+    shares = keys.join(F.broadcast(whole), "dim").groupBy(least.alias("i")).agg(F.sum("masks").alias("m"), F.count("*").alias("features")).collect()
+    rows = []
     for i in range(1, 8):
-        some = f.join(keys.where(F.col("nth") <= F.expr(f"of * {i} div 7")), ["dim", "key"], "left_semi")
-        got = build.keyed(some, spec).agg(F.count("*").alias("m")).first()["m"] * spec.b
-        rows.append((i, "sparse", "bits", got))
-        rows.append((i, "dense", "bits", measures.dense_bits(some.select("dim", "key").distinct().count(), n, spec)))
+        rows.append((i, "sparse", "bits", sum(r["m"] for r in shares if r["i"] <= i) * spec.b))
+        rows.append((i, "dense", "bits", measures.dense_bits(sum(r["features"] for r in shares if r["i"] <= i), n, spec)))
     return long_format(spark, rows)
 
 
 for _b in (2, 4, 8):
     _levels = " UNION ALL ".join(f"SELECT i, dim, key, pos // {_b ** (lv + 1)} AS node, {lv} AS level FROM s GROUP BY ALL" for lv in range(3))
     _nodes = " + ".join(f"CAST(ceil(n / {_b ** (lv + 1)}.0) AS BIGINT)" for lv in range(3))
-    query(
-        f"WITH {S.features('O', ['custkey', 'orderdate'])}, {SHARE}, s AS (SELECT i, pf.dim, pf.key, pos FROM range(1, 8) t(i), pf JOIN f ON pf.dim = f.dim AND pf.key = f.key WHERE nth <= of * i // 7), z AS ({_levels}), n AS (SELECT max(pos) + 1 AS n FROM pf)"
-        f" SELECT i AS size, 'sparse' AS method, 'bits' AS measure, CAST(count(*) * {_b} AS DOUBLE) AS value FROM z GROUP BY i UNION ALL SELECT i, 'dense', 'bits', CAST(c * ({_nodes}) * {_b} AS DOUBLE) FROM n, (SELECT i, count(DISTINCT (dim, key)) AS c FROM s GROUP BY i)",
-        name=f"w8_size_by_features_b{_b}",
-    )(lambda spark, sf, b=_b: _shared(spark, sf, IndexSpec(b, 3)))
+    for _n in W8:
+        query(
+            f"WITH {S.features(_n, W8[_n])}, {SHARE}, s AS (SELECT i, pf.dim, pf.key, pos FROM range(1, 8) t(i), pf JOIN f ON pf.dim = f.dim AND pf.key = f.key WHERE nth <= of * i // 7), z AS ({_levels}), n AS (SELECT max(pos) + 1 AS n FROM pf)"
+            f" SELECT i AS size, 'sparse' AS method, 'bits' AS measure, CAST(count(*) * {_b} AS DOUBLE) AS value FROM z GROUP BY i UNION ALL SELECT i, 'dense', 'bits', CAST(c * ({_nodes}) * {_b} AS DOUBLE) FROM n, (SELECT i, count(DISTINCT (dim, key)) AS c FROM s GROUP BY i)",
+            name=f"w8_size_by_features_b{_b}{'' if _n == 'O' else '_l14'}",
+        )(lambda spark, sf, b=_b, n=_n: _shared(spark, sf, IndexSpec(b, 3), n))
 
 
 def _size_by_records(spark, sf, name):
