@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tierbit.llm.common import drop_rows, flagged, lean, stored
+from tierbit.llm.common import drop_rows, flagged, give_back, lean, stored
 
 CHECKED = ["text_sha256", "n_bytes", "check"]
 #: An entry: four words of the digest (most significant first), byte length, second hash, survivor's id and row, whether it has an id, rows.
@@ -86,6 +86,7 @@ def sorted_runs(rows: DataFrame, largest: bool, segment: int, longest: int) -> D
     bits = _bits(longest, segment)
 
     def make(batches):
+        give_back()
         held, parts = {}, 0  # sorted pieces of the run, of all batches that came as one
 
         def flush():
@@ -145,6 +146,7 @@ def _merged(level: DataFrame, largest: bool, fan_in: int, before: int, after: in
                 yield _rows(out[i : i + 16])
 
     def merge(batches):
+        give_back()
         at, held = None, []
 
         def done():

@@ -22,6 +22,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -154,7 +155,8 @@ def mixed(docs: DataFrame, mix: Mix | None = None, key: str = "doc_id", text: st
         whole = sum(c[3] for c in held)
         factors = [w * whole / c[3] for w, c in zip(rake(held, mix), held)]
         c = calibrate([x[3] for x in held], factors, mix)
-        priced = spark.createDataFrame([(*x[:3], f) for x, f in zip(held, factors)], "source string, lang string, topic string, factor double")
+        columns = [pa.array([x[i] for x in held], pa.string()) for i in range(len(DIMS))]
+        priced = spark.createDataFrame(pa.table([*columns, pa.array(factors, pa.float64())], [*DIMS, "factor"]))  # rows would start Python workers of another kind
     else:
         priced = stored(_rake_frames(cells, mix), "factors")
         c = _calibrate_frames(priced, mix)

@@ -40,7 +40,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from tierbit.llm.common import flagged, lean, stored
+from tierbit.llm.common import flagged, give_back, lean, stored
 
 WORDS = 5
 _P = np.uint64(0x100000001B3)
@@ -146,6 +146,7 @@ def signed(docs: DataFrame, bands: int, rows: int, key: str, text: str, measure:
     """doc_id, tag (of the text as it is), class (of the normalised text), bands, a byte of each coordinate, and mass (of the shingles under ``measure``)."""
 
     def make(batches):
+        give_back()
         for b in batches:
             ids, tags, texts = b.column("doc_id"), b.column("tag"), b.column("text")
             for at in range(0, len(texts), 128):
@@ -189,6 +190,7 @@ PLACED = "band long, i int, j int, class binary, root binary, mass double, block
 
 def _groups(batches, by: int):
     """Rows of each group of the first ``by`` columns, from sorted batches."""
+    give_back()
     at, held = None, []
     for b in batches:
         for row in zip(*[c.to_pylist() for c in b.columns]):
@@ -277,6 +279,7 @@ def shingle_sets(texts: DataFrame) -> DataFrame:
     """(class, items, counts) of (class, text)."""
 
     def make(batches):
+        give_back()
         for b in batches:
             for at in range(0, b.num_rows, 128):
                 some = [shingles(normalised(t.as_py())) for t in b.column("text").slice(at, 128)]

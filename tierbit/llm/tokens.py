@@ -16,7 +16,8 @@ import zlib
 from os.path import commonprefix
 
 import numpy as np
-import pyarrow as pa
+
+from tierbit.llm.common import give_back
 
 LETTER = "A-Za-zÀ-ÖØ-öø-ÿ"
 #: The same characters, tab and line feed, as bytes of ISO 8859-1.
@@ -58,7 +59,7 @@ def _byte_letters() -> dict[int, str]:
 class Encoder:
     """Ids as little-endian unsigned 32-bit integers."""
 
-    def __init__(self, path: str, cached: int = 400_000):
+    def __init__(self, path: str, cached: int = 200_000):
         from tokenizers import Tokenizer
 
         self.lib = Tokenizer.from_file(path)
@@ -112,7 +113,9 @@ _OPEN: dict[str, Encoder] = {}
 def encoder(path: str) -> Encoder:
     """One per worker process and file."""
     if path not in _OPEN:
+        give_back()  # what earlier stages held
         _OPEN[path] = Encoder(path)
+        give_back()
     return _OPEN[path]
 
 
@@ -122,7 +125,7 @@ def crc(ids: bytes) -> int:
 
 def batches_of(column, most: int = 1 << 18):
     """(indices, texts) of runs of an Arrow text column that hold about ``most`` characters together; null is empty."""
-    pa.default_memory_pool().release_unused()  # what earlier batches held
+    give_back()  # what earlier batches held
     run, texts, held = [], [], 0
     for i, t in enumerate(column):
         text = t.as_py() or ""
